@@ -9,6 +9,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -72,7 +73,7 @@ def text_views(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 def slices(batch: pa.RecordBatch, text: str, limit: int) -> Iterator[pa.RecordBatch]:
     """Cut a batch into runs of rows of about limit bytes of text; a longer text stands alone, whole."""
     col = batch.column(batch.schema.get_field_index(text))
-    size = pa.compute.fill_null(pa.compute.binary_length(col), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    size = pc.fill_null(pc.binary_length(col), 0).to_numpy(zero_copy_only=False).astype(np.int64)
     start, total = 0, 0
     for i, s in enumerate(size):
         if i > start and total + s > limit:
@@ -94,12 +95,12 @@ def map_texts(df: DataFrame, columns: list, fn: Callable[[pa.RecordBatch], Itera
     return df.select(*columns).mapInArrow(run, schema)
 
 
-def token_bounds(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Start, end and document index of every word (run of non-space bytes) of the concatenated texts."""
+def token_bounds(buf: np.ndarray, offs: np.ndarray, space: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start, end and document index of every word (run of bytes outside `space`) of the concatenated texts."""
     if not len(buf):
         z = np.zeros(0, np.int64)
         return z, z, z
-    word = ~SPACE[buf]
+    word = ~space[buf]
     first = word.copy()
     first[1:] &= ~word[:-1]
     cuts = offs[1:-1]
