@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import id_bucket, map_texts
 
 HIDDEN, SPAN = 16, 24
-DOCS_PER_LANGUAGE, WORDS_PER_DOC, STEPS, BATCH = 300, 60, 500, 384
+DOCS_PER_LANGUAGE, WORDS_PER_DOC, STEPS, BATCH = 300, 60, 300, 384
 #: Distinct words whose labels a worker remembers.
 REMEMBERED = 200_000
 
