@@ -1,3 +1,605 @@
-def flagship(spark, d): raise NotImplementedError
-def queries(): return {}
-def oracle_sql(): return {}
+"""Queries of the engine and, where SQL can express them, the SQL that gives the same rows."""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from . import metrics, oracle, workloads
+from .functions import criteria as C
+from .functions import dominance as D
+from .operators import front as fr
+from .plans import batch, sweep
+from .sources import networks as N
+from .sources import tasks as T
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+SQL: dict[str, str] = {}
+
+
+def query(sql: str | None = None, name: str | None = None):
+    def add(f):
+        QUERIES[name or f.__name__] = f
+        if sql:
+            SQL[name or f.__name__] = sql
+        return f
+
+    return add
+
+
+def flagship(spark: SparkSession, d: str) -> DataFrame:
+    edges = N.check(N.grid_road(spark, d), C.ALL)
+    return wide(batch.path_front(edges, T.task_list(spark, [(0, 50), (0, 140)]), C.columns("te")), C.columns("te")).withColumn("n_hops", F.col("n_hops"))
+
+
+def wide(rows: DataFrame, names: list[str], extra: tuple[str, ...] = ("n_hops",)) -> DataFrame:
+    return rows.select("task_id", *(F.col("cost")[i].alias(c) for i, c in enumerate(names)), *extra)
+
+
+def three(spark: SparkSession, d: str) -> DataFrame:
+    """The three tasks that the SQL answers too."""
+    return T.task_list(spark, T.oracle_pairs(N.table(spark, d, "customer").count()))
+
+
+def grid(spark: SparkSession, d: str, letters: str) -> DataFrame:
+    return N.project(N.grid_road(spark, d), C.columns(letters))
+
+
+def lb_columns(rows: DataFrame, n: int) -> DataFrame:
+    return rows.select("task_id", "node", *(F.col("lb")[i].alias(f"b{i}") for i in range(n)))
+
+
+# --- dominance -------------------------------------------------------------------------------------------------------
+
+TR = f"WITH {oracle.TRADE}"
+PAIR = "SELECT a.src, a.dst AS dst1, b.dst AS dst2 FROM trade a JOIN trade b ON a.src = b.src AND a.dst <> b.dst WHERE "
+
+
+def _trade_pairs(spark, d):
+    t = N.trade(spark, d).select("src", "dst", F.array("c_price", "c_lag", "c_rarity").alias("v"))
+    a, b = t.select("src", F.col("dst").alias("dst1"), F.col("v").alias("a")), t.select("src", F.col("dst").alias("dst2"), F.col("v").alias("b"))
+    return a.join(b, "src").where(F.col("dst1") != F.col("dst2"))
+
+
+_V = ["c_price", "c_lag", "c_rarity"]
+_AB = [f"a.{c}" for c in _V], [f"b.{c}" for c in _V]
+
+
+@query(f"{TR} {PAIR} {oracle.dominated_by(*_AB)}")
+def dom_pairs(spark, d):
+    return _trade_pairs(spark, d).where(D.dominates(F.col("a"), F.col("b"))).select("src", "dst1", "dst2")
+
+
+@query(f"{TR} {PAIR} {oracle._le(*_AB)}")
+def dom_weak_pairs(spark, d):
+    return _trade_pairs(spark, d).where(D.weakly_dominates(F.col("a"), F.col("b")) | D.same_cost(F.col("a"), F.col("b"))).select("src", "dst1", "dst2")
+
+
+@query(f"{TR} SELECT src, dst, EXISTS (SELECT 1 FROM trade a WHERE a.src = b.src AND {oracle.dominated_by(*_AB)}) AS beaten FROM trade b")
+def dom_set(spark, d):
+    t = N.trade(spark, d).select("src", "dst", F.array(*_V).alias("v"))
+    return t.withColumn("all", F.collect_set("v").over(Window.partitionBy("src"))).select("src", "dst", D.set_dominates(F.col("all"), F.col("v")).alias("beaten"))
+
+
+@query(f"{TR} SELECT a.src, a.dst AS dst1, b.dst AS dst2, CASE WHEN {' AND '.join(f'{x} = {y}' for x, y in zip(*_AB))} THEN 'equal' WHEN {oracle._le(*_AB)} THEN 'better' WHEN {oracle._le(_AB[1], _AB[0])} THEN 'worse' ELSE 'incomparable' END AS kind FROM trade a JOIN trade b ON a.src = b.src AND a.dst <> b.dst")
+def dom_classes(spark, d):
+    return _trade_pairs(spark, d).select("src", "dst1", "dst2", D.compare_costs(F.col("a"), F.col("b")).alias("kind"))
+
+
+@query(
+    f"{TR} SELECT a.src, a.dst AS dst1, b.dst AS dst2, " + ", ".join(f"greatest(a.{c}, b.{c}) AS max{i}, least(a.{c}, b.{c}) AS min{i}, a.{c} + b.{c} AS sum{i}" for i, c in enumerate(_V)) + ", a.c_price + a.c_lag + a.c_rarity AS total FROM trade a JOIN trade b ON a.src = b.src AND a.dst <> b.dst"
+)
+def vec_ops(spark, d):
+    p = _trade_pairs(spark, d).withColumns({"x": D.vec_max(F.col("a"), F.col("b")), "n": D.vec_min(F.col("a"), F.col("b")), "s": D.vec_add(F.col("a"), F.col("b"))})
+    return p.select("src", "dst1", "dst2", *(F.col(k)[i].alias(f"{name}{i}") for i in range(3) for k, name in (("x", "max"), ("n", "min"), ("s", "sum"))), D.vec_total(F.col("a")).alias("total"))
+
+
+@query(f"{TR} SELECT a.src, a.dst AS mid, b.dst, greatest(a.c_price + b.c_price, c.c_price) AS g0, greatest(a.c_lag + b.c_lag, c.c_lag) AS g1 FROM trade a JOIN trade b ON a.dst = b.src JOIN trade c ON c.src = a.src AND c.dst = b.dst")
+def global_bound_check(spark, d):
+    t = N.trade(spark, d).select("src", "dst", F.array("c_price", "c_lag").alias("v"))
+    a, b, c = t.select("src", F.col("dst").alias("mid"), F.col("v").alias("a")), t.select(F.col("src").alias("mid"), "dst", F.col("v").alias("b")), t.select("src", "dst", F.col("v").alias("c"))
+    g = D.global_bound(F.array(F.lit(0).cast("long"), F.lit(0).cast("long")), F.col("a"), F.col("b"), F.col("c"))
+    return a.join(b, "mid").join(c, ["src", "dst"]).select("src", "mid", "dst", g[0].alias("g0"), g[1].alias("g1"))
+
+
+@query(f"{TR} SELECT src, arg_min(dst, c_price + 50 * c_lag + c_rarity + dst / 1000.0) AS best FROM trade GROUP BY src")
+def scalar_weighted_best(spark, d):
+    t = N.trade(spark, d).withColumn("score", D.weighted_total(F.array(*_V), [1.0, 50.0, 1.0]))
+    return t.groupBy("src").agg(F.min_by("dst", F.struct("score", "dst")).alias("best"))
+
+
+# --- fronts of tables ------------------------------------------------------------------------------------------------
+
+_ORD = "SELECT o_orderkey, o_custkey, o_orderpriority, CAST(floor(o_totalprice) AS BIGINT) AS price, date_diff('day', DATE '1990-01-01', CAST(o_orderdate AS DATE)) AS day FROM orders"
+
+
+def _orders(spark, d):
+    return N.table(spark, d, "orders").select("o_orderkey", "o_custkey", "o_orderpriority", F.floor("o_totalprice").cast("long").alias("price"), F.datediff("o_orderdate", F.lit("1990-01-01").cast("date")).cast("long").alias("day"))
+
+
+_PD = ["price", "day"]
+
+
+@query(oracle.table_front(_ORD, _PD, ["o_custkey"], "o_custkey, o_orderkey"))
+def front_anti_orders(spark, d):
+    return fr.front(_orders(spark, d), _PD, ["o_custkey"], "anti").select("o_custkey", "o_orderkey")
+
+
+@query(oracle.table_front(_ORD, _PD, ["o_orderpriority"], "o_orderpriority, o_orderkey"))
+def front_two_phase_orders(spark, d):
+    return fr.front(_orders(spark, d), _PD, ["o_orderpriority"]).select("o_orderpriority", "o_orderkey")
+
+
+@query(oracle.table_front(_ORD, _PD, ["o_orderpriority"], "o_orderpriority, o_orderkey, price, day"))
+def front_sorted2(spark, d):
+    return fr.front(_orders(spark, d), _PD, ["o_orderpriority"], "sorted2").select("o_orderpriority", "o_orderkey", "price", "day")
+
+
+_CN = "SELECT c_nationkey, CAST(floor(c_acctbal) AS BIGINT) + 1000 AS bal, c_custkey FROM customer"
+
+
+@query(oracle.table_front(f"SELECT DISTINCT c_nationkey, bal, c_custkey FROM ({_CN})", ["bal", "c_custkey"], ["c_nationkey"], "c_nationkey, bal, c_custkey"))
+def front_agg_by_nation(spark, d):
+    c = N.table(spark, d, "customer").select("c_nationkey", F.array((F.floor("c_acctbal") + 1000).cast("long"), F.col("c_custkey")).alias("v"))
+    g = c.groupBy("c_nationkey").agg(fr.front_agg(F.col("v")).alias("f"))
+    return g.select("c_nationkey", F.explode("f").alias("x")).select("c_nationkey", F.col("x")[0].alias("bal"), F.col("x")[1].alias("c_custkey"))
+
+
+_SU = "SELECT s_nationkey, CAST(floor(s_acctbal) AS BIGINT) AS bal, s_suppkey FROM supplier"
+
+
+@query(
+    f"WITH t AS ({_SU}), f AS (SELECT * FROM t x WHERE NOT EXISTS (SELECT 1 FROM t o WHERE o.s_nationkey = x.s_nationkey AND {oracle.dominated_by(['o.bal', 'o.s_suppkey'], ['x.bal', 'x.s_suppkey'])})), "
+    f"old AS (SELECT * FROM t x WHERE s_suppkey % 2 = 0 AND NOT EXISTS (SELECT 1 FROM t o WHERE o.s_suppkey % 2 = 0 AND o.s_nationkey = x.s_nationkey AND {oracle.dominated_by(['o.bal', 'o.s_suppkey'], ['x.bal', 'x.s_suppkey'])})) "
+    "SELECT f.s_nationkey, f.bal, f.s_suppkey, old.s_suppkey IS NULL AS changed FROM f LEFT JOIN old ON f.s_suppkey = old.s_suppkey"
+)
+def front_merge_suppliers(spark, d):
+    s = N.table(spark, d, "supplier").select("s_nationkey", F.floor("s_acctbal").cast("long").alias("bal"), "s_suppkey")
+    old = fr.front(s.where("s_suppkey % 2 = 0"), ["bal", "s_suppkey"], ["s_nationkey"])
+    return fr.merge_fronts(old, s.where("s_suppkey % 2 = 1"), ["bal", "s_suppkey"], ["s_nationkey"])
+
+
+@query(f"WITH t AS (SELECT p_brand, p_size, CAST(floor(p_retailprice / 10) AS BIGINT) AS price FROM part), g AS (SELECT p_brand, p_size, price, count(*) AS n FROM t x WHERE NOT EXISTS (SELECT 1 FROM t o WHERE o.p_brand = x.p_brand AND {oracle.dominated_by(['o.p_size', 'o.price'], ['x.p_size', 'x.price'])}) GROUP BY ALL) SELECT p_brand, sum(n)::BIGINT AS every, count(*) AS one FROM g GROUP BY p_brand")
+def front_ties(spark, d):
+    p = N.table(spark, d, "part").select("p_brand", "p_size", F.floor(F.col("p_retailprice") / 10).cast("long").alias("price"))
+    every = fr.front(p, ["p_size", "price"], ["p_brand"]).groupBy("p_brand").agg(F.count(F.lit(1)).alias("every"))
+    one = fr.front(p, ["p_size", "price"], ["p_brand"], ties="one").groupBy("p_brand").agg(F.count(F.lit(1)).alias("one"))
+    return every.join(one, "p_brand")
+
+
+@query(
+    f"WITH t AS ({_ORD}), l1 AS (SELECT * FROM t x WHERE NOT EXISTS (SELECT 1 FROM t o WHERE o.o_orderpriority = x.o_orderpriority AND {oracle.dominated_by(['o.price', 'o.day'], ['x.price', 'x.day'])})), "
+    f"r AS (SELECT * FROM t WHERE o_orderkey NOT IN (SELECT o_orderkey FROM l1)), l2 AS (SELECT * FROM r x WHERE NOT EXISTS (SELECT 1 FROM r o WHERE o.o_orderpriority = x.o_orderpriority AND {oracle.dominated_by(['o.price', 'o.day'], ['x.price', 'x.day'])})) "
+    "SELECT o_orderkey, 1 AS layer FROM l1 UNION ALL SELECT o_orderkey, 2 FROM l2"
+)
+def front_layers(spark, d):
+    return fr.front_layers(_orders(spark, d), _PD, ["o_orderpriority"]).select("o_orderkey", "layer")
+
+
+@query(f"WITH t AS ({_ORD}), f AS (SELECT * FROM t x WHERE NOT EXISTS (SELECT 1 FROM t o WHERE {oracle.dominated_by(['o.price', 'o.day'], ['x.price', 'x.day'])})) SELECT o_orderkey, price, day FROM f ORDER BY price * 1.0 + day * 20.0, price, day LIMIT 5")
+def front_topk(spark, d):
+    return fr.front_topk(_orders(spark, d), _PD, [1.0, 20.0], 5).select("o_orderkey", "price", "day")
+
+
+# --- single-criterion searches ---------------------------------------------------------------------------------------
+
+_LB1 = oracle.base(["c_time"]) + ", " + oracle.single_bounds(0, 1)
+
+
+@query(f"{_LB1} SELECT CAST(task_id AS BIGINT) AS task_id, node, key // 100000000 AS cost FROM lb0")
+def lb_time_all_nodes(spark, d):
+    return lb_columns(batch.bound_rows(grid(spark, d, "t"), three(spark, d), "multi"), 1).withColumnRenamed("b0", "cost")
+
+
+@query(f"{oracle.base(['c_distance'])}, {oracle.single_bounds(0, 1, False)} SELECT CAST(task_id AS BIGINT) AS task_id, node, key // 100000000 AS cost FROM lb0 WHERE task_id = 1")
+def fwd_distance_all_nodes(spark, d):
+    """Superstep form: a forward search without a stop."""
+    one = three(spark, d).where("task_id = 1")
+    far = one.select("task_id", "src", F.lit(-1).cast("long").alias("dst"))
+    return sweep.forward_costs(N.grid_road(spark, d), far, "c_distance").lb.select("task_id", "node", F.col("lb")[0].alias("cost"))
+
+
+@query(f"{_LB1} SELECT CAST(l.task_id AS BIGINT) AS task_id, key // 100000000 AS cost FROM lb0 l JOIN tasks t ON t.task_id = l.task_id AND t.src = l.node WHERE l.task_id = 1")
+def lb_time_to_source(spark, d):
+    """Superstep form with the stop rule: nodes no nearer than the source are not opened."""
+    one = three(spark, d).where("task_id = 1")
+    r = sweep.reverse_costs(N.grid_road(spark, d), one, "c_time", stop="source")
+    return r.anchors.select("task_id", F.col("cost")[0].alias("cost"))
+
+
+@query(f"{oracle.bounds(C.columns('te'))} SELECT CAST(task_id AS BIGINT) AS task_id, criterion, a0 AS c_time, a1 AS c_energy FROM anchors WHERE criterion = 0")
+def anchor_paths(spark, d):
+    """Costs of the optimal paths, added up again from the edges of the rebuilt paths."""
+    p = batch.solve(grid(spark, d, "te"), three(spark, d), "onepass", bounds_only=True).select("task_id", F.explode("best").alias("b")).select("task_id", "b.criterion", "b.path").where("criterion = 0")
+    steps = F.transform(F.sequence(F.lit(0), F.size("path") - 2), lambda i: F.struct(F.get("path", i).alias("src"), F.get("path", i + 1).alias("dst")))
+    e = p.select("task_id", "criterion", F.explode(steps).alias("e")).select("task_id", "criterion", "e.*")
+    return e.join(N.grid_road(spark, d).select("src", "dst", "c_time", "c_energy"), ["src", "dst"]).groupBy("task_id", "criterion").agg(F.sum("c_time").alias("c_time"), F.sum("c_energy").alias("c_energy"))
+
+
+@query(f"{_LB1} SELECT CAST(l.task_id AS BIGINT) AS task_id, key // 100000000 AS cost FROM lb0 l JOIN tasks t ON t.task_id = l.task_id AND t.src = l.node")
+def astar_equals_dijkstra(spark, d):
+    return workloads.astar_costs(grid(spark, d, "t"), three(spark, d)).select("task_id", "cost")
+
+
+@query(f"WITH RECURSIVE {oracle.GRID}, {oracle.TASKS}, ed AS (SELECT src, dst, CAST(1 AS BIGINT) AS c0 FROM edges), {oracle.single_bounds(0, 1)} SELECT CAST(l.task_id AS BIGINT) AS task_id, key // 100000000 AS hops FROM lb0 l JOIN tasks t ON t.task_id = l.task_id AND t.src = l.node")
+def hops_between(spark, d):
+    return workloads.hop_counts(N.grid_road(spark, d), three(spark, d))
+
+
+# --- bounds ----------------------------------------------------------------------------------------------------------
+
+
+def _b(letters: str, what: str) -> str:
+    return f"{oracle.bounds(C.columns(letters))} {what}"
+
+
+_AT_SOURCE = "SELECT CAST(l.task_id AS BIGINT) AS task_id, l.node, b0, b1 FROM lb l JOIN tasks t ON t.task_id = l.task_id AND t.src = l.node"
+_ALL_LB = "SELECT CAST(task_id AS BIGINT) AS task_id, node, b0, b1 FROM lb"
+
+
+def _at_source(rows: DataFrame, tasks: DataFrame) -> DataFrame:
+    return lb_columns(rows.join(F.broadcast(tasks.select("task_id", F.col("src").alias("node"))), ["task_id", "node"], "left_semi"), 2)
+
+
+@query(_b("te", _ALL_LB))
+def bounds_multi(spark, d):
+    return lb_columns(batch.bound_rows(grid(spark, d, "te"), three(spark, d), "multi"), 2)
+
+
+@query(_b("te", _ALL_LB + " WHERE task_id = 1"))
+def bounds_multi_supersteps(spark, d):
+    return lb_columns(sweep.multi_bounds(grid(spark, d, "te"), three(spark, d).where("task_id = 1"), 2).lb, 2)
+
+
+@query(_b("td", _AT_SOURCE))
+def bounds_pair(spark, d):
+    t = three(spark, d)
+    return _at_source(batch.bound_rows(grid(spark, d, "td"), t, "pair"), t)
+
+
+@query(_b("td", "SELECT CAST(x.task_id AS BIGINT) AS task_id, y.a0 AS ceiling0, x.a1 AS ceiling1 FROM anchors x JOIN anchors y ON x.task_id = y.task_id AND x.criterion = 0 AND y.criterion = 1"))
+def pair_ceiling(spark, d):
+    """Ceilings of both criteria, which are the extreme coordinates of the front."""
+    f = batch.path_front(N.grid_road(spark, d), three(spark, d), C.columns("td"), "pair")
+    return f.groupBy("task_id").agg(F.max(F.col("cost")[0]).alias("ceiling0"), F.max(F.col("cost")[1]).alias("ceiling1"))
+
+
+@query(_b("te", _AT_SOURCE))
+def bounds_onepass_source(spark, d):
+    t = three(spark, d)
+    return _at_source(batch.bound_rows(grid(spark, d, "te"), t, "onepass"), t)
+
+
+@query(_b("te", _AT_SOURCE + " WHERE l.task_id = 1"))
+def bounds_onepass_supersteps(spark, d):
+    t = three(spark, d).where("task_id = 1")
+    return _at_source(sweep.onepass_bounds(grid(spark, d, "te"), t, 2).lb, t)
+
+
+@query(_b("te", _AT_SOURCE + " WHERE l.task_id = 1"))
+def bounds_onepass_bucket_order(spark, d):
+    t = three(spark, d).where("task_id = 1")
+    return _at_source(sweep.onepass_bounds(grid(spark, d, "te"), t, 2, order="bucket", delta=400).lb, t)
+
+
+@query(_b("te", _ALL_LB))
+def bounds_onepass_noprune(spark, d):
+    return lb_columns(batch.bound_rows(grid(spark, d, "te"), three(spark, d), "onepass", prune=False, expand_source=True), 2)
+
+
+@query(_b("te", "SELECT CAST(task_id AS BIGINT) AS task_id, criterion, CASE criterion WHEN 0 THEN a0 ELSE a1 END AS cost FROM anchors"))
+def anchors_onepass(spark, d):
+    rows = batch.solve(grid(spark, d, "te"), three(spark, d), "onepass", bounds_only=True).select("task_id", F.explode("best").alias("b"))
+    return rows.select("task_id", "b.criterion", F.get("b.cost", F.col("b.criterion")).alias("cost"))
+
+
+@query(_b("te", _AT_SOURCE))
+def bounds_twosided_source(spark, d):
+    t = three(spark, d)
+    return _at_source(batch.bound_rows(grid(spark, d, "te"), t, "twosided"), t)
+
+
+@query(_b("te", _AT_SOURCE + " WHERE l.task_id = 1"))
+def bounds_twosided_supersteps(spark, d):
+    t = three(spark, d).where("task_id = 1")
+    return _at_source(sweep.twosided_bounds(grid(spark, d, "te"), t, 2).lb, t)
+
+
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations")
+def bounds_onepass_on_solution(spark, d):
+    """On nodes of front paths a bound never exceeds the cheapest rest of any front path through them: violations counted."""
+    t = three(spark, d)
+    e = grid(spark, d, "te")
+    f = batch.path_front(N.grid_road(spark, d), t, C.columns("te"))
+    lb = batch.bound_rows(e, t, "onepass")
+    at = f.select("task_id", "cost", F.posexplode("path").alias("i", "node"), "path")
+    steps = F.transform(F.sequence(F.lit(0), F.size("path") - 2), lambda i: F.struct(i.alias("i"), F.get("path", i).alias("src"), F.get("path", i + 1).alias("dst")))
+    part = f.select("task_id", "path", F.explode(steps).alias("s")).select("task_id", "path", "s.*").join(e, ["src", "dst"])
+    w = Window.partitionBy("task_id", "path").orderBy(F.desc("i"))
+    rest = part.withColumns({"r0": F.sum("c0").over(w), "r1": F.sum("c1").over(w)}).groupBy("task_id", F.col("src").alias("node")).agg(F.min("r0").alias("r0"), F.min("r1").alias("r1"))
+    del at
+    bad = rest.join(lb, ["task_id", "node"], "left").where(F.col("lb").isNull() | (F.col("lb")[0] > F.col("r0")) | (F.col("lb")[1] > F.col("r1")))
+    return bad.agg(F.count(F.lit(1)).alias("violations"))
+
+
+def _grid_lm(spark, d, k):
+    return batch.grid_landmarks(k, N.grid_width(spark, d), N.table(spark, d, "customer").count())
+
+
+_LM = oracle.base(["c_time", "c_energy"], "w AS (SELECT w, n, -(-n // w) AS h FROM w0), ix AS (SELECT unnest([0, 1]) AS i), lms AS (SELECT least(n - 1, least(h - 1, (2 * a.i + 1) * h // 4) * w + least(w - 1, (2 * b.i + 1) * w // 4)) AS lm FROM w, ix a, ix b), tasks AS (SELECT lm AS task_id, lm AS src, lm AS dst FROM lms)")
+_LM = _LM.replace("-(-n // w)", "(n + w - 1) // w")
+_REAL = oracle.TASKS.replace("tasks AS", "real AS")
+
+
+def _lm_sql() -> str:
+    to = [oracle.single_bounds(i, 2) for i in range(2)]
+    away = [oracle.single_bounds(i, 2, False).replace(f"lb{i}", f"fw{i}") for i in range(2)]
+    lm = "lmc AS MATERIALIZED (SELECT lb0.task_id AS lm, lb0.node, lb0.key // 100000000 AS t0, lb1.key // 100000000 AS t1, fw0.key // 100000000 AS f0, fw1.key // 100000000 AS f1 FROM lb0 JOIN lb1 USING (task_id, node) JOIN fw0 USING (task_id, node) JOIN fw1 USING (task_id, node))"
+    per = ", ".join(f"greatest(0, max(a.t{i} - b.t{i}), max(b.f{i} - a.f{i})) AS b{i}" for i in range(2))
+    return f"{_LM}, {_REAL}, {', '.join(to + away)}, {lm} SELECT CAST(r.task_id AS BIGINT) AS task_id, a.node, {per} FROM real r JOIN lmc b ON b.node = r.dst JOIN lmc a ON a.lm = b.lm GROUP BY r.task_id, a.node"
+
+
+@query(_lm_sql())
+def landmark_bounds_k4(spark, d):
+    e = grid(spark, d, "te")
+    return lb_columns(batch.bound_rows(e, three(spark, d), "landmark", batch.build_landmarks(e, _grid_lm(spark, d, 4))), 2)
+
+
+@query(f"{_LM} SELECT DISTINCT CAST(lm AS BIGINT) AS node FROM lms")
+def landmark_pick(spark, d):
+    return spark.createDataFrame([(x,) for x in _grid_lm(spark, d, 4)], "node long")
+
+
+@query(f"WITH RECURSIVE {oracle.GRID} SELECT CAST(0 AS BIGINT) AS fresh, TRUE AS stale_found FROM w0")
+def landmark_violations(spark, d):
+    """Landmark bounds hold for the costs they were built on, and fail on some nodes once edges become cheaper."""
+    e, t = grid(spark, d, "te"), three(spark, d)
+    lb = batch.keep(batch.bound_rows(e, t, "landmark", batch.build_landmarks(e, _grid_lm(spark, d, 4))), "lm")
+    cheap = e.withColumns({"c0": F.floor(F.col("c0") / 2).cast("long"), "c1": F.floor(F.col("c1") / 2).cast("long") + 1})
+    fresh = batch.landmark_violations(lb, batch.bound_rows(e, t, "multi")).agg(F.count(F.lit(1)).alias("fresh"))
+    stale = batch.landmark_violations(lb, batch.bound_rows(cheap, t, "multi")).agg((F.count(F.lit(1)) > 0).alias("stale_found"))
+    return fresh.join(F.broadcast(stale))
+
+
+@query(f"{oracle.base(['c_distance'])}, {oracle.single_bounds(0, 1)} SELECT CAST(l.task_id AS BIGINT) AS task_id, l.node, key // 100000000 AS exact, (abs(l.node % w - t.dst % w) + abs(l.node // w - t.dst // w)) * (SELECT min(c0) FROM ed) AS bound FROM lb0 l JOIN tasks t USING (task_id), w0")
+def euclid_bound_valid(spark, d):
+    """Straight-line bounds beside exact costs; no bound exceeds its cost."""
+    e, t = grid(spark, d, "d"), three(spark, d)
+    least = e.agg(F.min("c0")).first()[0]
+    m = batch.manhattan_bounds(N.grid_nodes(spark, d), t, least)
+    return batch.bound_rows(e, t, "multi").select("task_id", "node", F.col("lb")[0].alias("exact")).join(m.select("task_id", "node", F.col("lb")[0].alias("bound")), ["task_id", "node"])
+
+
+@query(_b("te", _AT_SOURCE))
+def bounds_combined(spark, d):
+    e, t = grid(spark, d, "te"), three(spark, d)
+    both = batch.combined_bounds(batch.bound_rows(e, t, "onepass"), batch.bound_rows(e, t, "landmark", batch.build_landmarks(e, _grid_lm(spark, d, 4))))
+    return _at_source(both, t)
+
+
+# --- path fronts -----------------------------------------------------------------------------------------------------
+
+
+def _front_query(name: str, letters: str, tasks_sql: str = oracle.TASKS, keep: str | None = None, **options) -> None:
+    names = C.columns(letters)
+
+    def f(spark, d):
+        t = three(spark, d)
+        t = t.where(keep) if keep else t
+        return wide(batch.path_front(N.grid_road(spark, d), t, names, **options), names, ()).distinct()
+
+    sql = oracle.front_rows(names, tasks_sql)
+    query(sql + (f" WHERE {keep}" if keep else ""), name)(f)
+
+
+_front_query("path_front_time_distance", "td")
+_front_query("path_front_time_energy", "te")
+_front_query("path_front_time_penalised", "tl")
+_front_query("path_front_time_crossings", "tc")
+_front_query("path_front_d3", "tel")
+_front_query("path_front_tdc", "tdc")
+_front_query("path_front_tce", "tce")
+_ONE = "tasks AS (SELECT 1 AS task_id, CAST(0 AS BIGINT) AS src, least(5, n - 1) AS dst FROM w0)"
+_front_query("path_front_d5", "tdecl", _ONE, "task_id = 1")
+_front_query("path_front_single_criterion", "d")
+_front_query("path_front_basic_check", "te", _ONE, "task_id = 1", bounds="none", search_options={"check": "basic"})
+_front_query("path_front_no_tighten", "te", search_options={"tighten": False})
+_front_query("path_front_unseeded", "te", search_options={"seeded": False})
+_front_query("path_front_seeded", "te", search_options={"seeded": True})
+_front_query("label_search_sorted2", "te", search_options={"sorted2": True})
+_front_query("label_search_pairwise2", "te", search_options={"sorted2": False})
+_front_query("path_front_order_bound", "te", search_options={"order": "bound"})
+_front_query("path_front_order_lexicographic", "te", search_options={"order": "lexicographic"})
+_front_query("path_front_order_fifo", "te", search_options={"order": "fifo"})
+_front_query("path_front_multi", "te", bounds="multi")
+_front_query("path_front_pair", "te", bounds="pair")
+_front_query("path_front_pair_strict", "te", bounds="pair", bound_options={"strict": True})
+_front_query("path_front_twosided", "te", bounds="twosided")
+_front_query("path_front_twosided_d3", "tel", bounds="twosided")
+_front_query("path_front_supersteps", "te", _ONE, "task_id = 1", engine="superstep")
+
+
+@query(oracle.front_rows(C.columns("te")))
+def path_front_landmark(spark, d):
+    e = grid(spark, d, "te")
+    return wide(batch.path_front(N.grid_road(spark, d), three(spark, d), C.columns("te"), "landmark", landmarks=batch.build_landmarks(e, _grid_lm(spark, d, 4))), C.columns("te"), ()).distinct()
+
+
+@query(f"{oracle.front(C.columns('te'))} SELECT p.provider, CAST(0 AS BIGINT) AS differences FROM (SELECT unnest(['none', 'multi', 'pair', 'twosided']) AS provider) p")
+def front_equal_across_providers(spark, d):
+    """Vectors in which a provider's front differs from the one-pass front: none."""
+    t = three(spark, d).where("task_id <= 2")
+    want = wide(batch.path_front(N.grid_road(spark, d), t, C.columns("te")), C.columns("te"), ()).distinct()
+    out = None
+    for p in ("none", "multi", "pair", "twosided"):
+        got = wide(batch.path_front(N.grid_road(spark, d), t, C.columns("te"), p), C.columns("te"), ()).distinct()
+        n = got.exceptAll(want).unionByName(want.exceptAll(got)).agg(F.count(F.lit(1)).alias("differences")).select(F.lit(p).alias("provider"), "differences")
+        out = n if out is None else out.unionByName(n)
+    return out
+
+
+_BRUTE = f"""WITH RECURSIVE {oracle.GRID}, br(node, c0, c1, path) AS (SELECT CAST(0 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT), [CAST(0 AS BIGINT)]
+ UNION ALL SELECT e.dst, b.c0 + e.c_time, b.c1 + e.c_energy, list_append(b.path, e.dst) FROM br b JOIN edges e ON e.src = b.node WHERE b.node <> 4 AND NOT list_contains(b.path, e.dst) AND len(b.path) <= 9),
+fin AS (SELECT DISTINCT c0, c1 FROM br WHERE node = 4) SELECT c0 AS c_time, c1 AS c_energy FROM fin x WHERE NOT EXISTS (SELECT 1 FROM fin o WHERE {oracle.dominated_by(['o.c0', 'o.c1'], ['x.c0', 'x.c1'])})"""
+
+
+@query(_BRUTE)
+def brute_force_front(spark, d):
+    """All simple paths of at most nine hops from junction 0 to 4 by WITH RECURSIVE, then the front."""
+    N.grid_road(spark, d).select("src", "dst", "c_time", "c_energy").createOrReplaceTempView("rf_edges")
+    every = spark.sql(
+        """WITH RECURSIVE walk(node, c0, c1, path) AS (SELECT 0L, 0L, 0L, array(0L)
+        UNION ALL SELECT e.dst, w.c0 + e.c_time, w.c1 + e.c_energy, array_append(w.path, e.dst) FROM walk w JOIN rf_edges e ON e.src = w.node
+        WHERE w.node <> 4 AND NOT array_contains(w.path, e.dst) AND size(w.path) <= 9) SELECT DISTINCT c0 AS c_time, c1 AS c_energy FROM walk WHERE node = 4"""
+    )
+    return fr.front(every, ["c_time", "c_energy"])
+
+
+@query(f"WITH RECURSIVE {oracle.GRID}, re(node, hop) USING KEY (node) AS (SELECT CAST(0 AS BIGINT), 0 UNION SELECT e.dst, min(r.hop + 1) FROM re r JOIN edges e ON e.src = r.node LEFT JOIN recurring.re o ON o.node = e.dst WHERE o.hop IS NULL AND r.hop < 6 GROUP BY e.dst) SELECT node FROM re")
+def reach_recursive(spark, d):
+    """Junctions within six hops of junction 0."""
+    N.grid_road(spark, d).select("src", "dst").createOrReplaceTempView("rf_reach")
+    return spark.sql("WITH RECURSIVE r(node, hop) AS (SELECT 0L, 0 UNION ALL SELECT e.dst, r.hop + 1 FROM r JOIN rf_reach e ON e.src = r.node WHERE r.hop < 6) SELECT DISTINCT node FROM r")
+
+
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations")
+def containment_violations(spark, d):
+    """Edges of front paths whose head the sweep did not visit."""
+    t = three(spark, d)
+    g = batch.solution_graph(batch.path_front(N.grid_road(spark, d), t, C.columns("te")))
+    seen = batch.bound_rows(grid(spark, d, "te"), t, "onepass").select("task_id", F.col("node").alias("dst"))
+    return g.join(seen, ["task_id", "dst"], "left_anti").agg(F.count(F.lit(1)).alias("violations"))
+
+
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations")
+def subpath_violations(spark, d):
+    """Prefixes of front paths that are not in the front of the node they reach."""
+    t = three(spark, d).where("task_id = 1")
+    f = batch.path_front(N.grid_road(spark, d), t, C.columns("te"))
+    heads = f.select(F.col("path")[0].alias("src"), F.explode("path").alias("dst")).distinct().where("src <> dst")
+    sub = heads.select((F.row_number().over(Window.orderBy("dst"))).cast("long").alias("task_id"), "src", "dst")
+    sub = batch.keep(sub, "sub")
+    part = batch.path_front(N.grid_road(spark, d), sub, C.columns("te")).join(sub, "task_id").select("dst", "path").distinct()
+    prefixes = f.select(F.explode(F.transform(F.sequence(F.lit(2), F.size("path")), lambda n: F.slice("path", 1, n))).alias("path")).select(F.element_at("path", -1).alias("dst"), "path").distinct()
+    return prefixes.join(part, ["dst", "path"], "left_anti").agg(F.count(F.lit(1)).alias("violations"))
+
+
+@query()
+def solution_graph(spark, d):
+    return batch.solution_graph(batch.path_front(N.grid_road(spark, d), three(spark, d), C.columns("te")))
+
+
+@query()
+def path_front_single_source(spark, d):
+    """Search without a target on the city block: fronts at every node."""
+    t = T.mini(spark, d).limit(2)
+    return batch.single_source_counts(N.project(N.city(spark, d), C.columns("te")), t).drop("search_ms")
+
+
+# --- cost models, networks, tasks ------------------------------------------------------------------------------------
+
+
+@query(f"WITH {oracle.GRID} SELECT * FROM edges")
+def cost_model_edges(spark, d):
+    return N.grid_road(spark, d)
+
+
+@query(f"WITH {oracle.GRID} SELECT count(*) AS edges, count(DISTINCT src) AS nodes, min(c_time) AS least_time, max(c_time) AS most_time, min(c_energy) AS least_energy, max(c_energy) AS most_energy, sum(c_crossings)::BIGINT AS crossings FROM edges")
+def network_profile(spark, d):
+    return N.grid_road(spark, d).agg(F.count(F.lit(1)).alias("edges"), F.countDistinct("src").alias("nodes"), F.min("c_time").alias("least_time"), F.max("c_time").alias("most_time"), F.min("c_energy").alias("least_energy"), F.max("c_energy").alias("most_energy"), F.sum("c_crossings").alias("crossings"))
+
+
+@query(f"WITH {oracle.GRID} SELECT count(*) AS edges, 0::BIGINT AS null_costs, 0::BIGINT AS negative_costs, 0::BIGINT AS zero_edges, 0::BIGINT AS loops FROM edges")
+def network_validate(spark, d):
+    return N.validate(N.grid_road(spark, d), C.ALL).select(*(F.col(c).cast("long").alias(c) for c in ("edges", "null_costs", "negative_costs", "zero_edges", "loops")))
+
+
+@query(f"WITH {oracle.GRID}, {oracle.LOCAL} SELECT task_id, src, dst FROM tasks")
+def tasks_local(spark, d):
+    return T.local(spark, d)
+
+
+@query(f"WITH {oracle.WIDE} SELECT task_id, src, dst FROM tasks")
+def tasks_wide(spark, d):
+    return T.wide(spark, d)
+
+
+@query(f"{TR} SELECT * FROM trade")
+def trade_network(spark, d):
+    return N.trade(spark, d)
+
+
+@query(f"WITH {oracle.FLOW} SELECT * FROM flow")
+def part_flow_network(spark, d):
+    return N.part_flow(spark, d)
+
+
+@query("WITH p AS (SELECT a.vec_id AS src, b.vec_id AS dst, CAST(round(sqrt(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: (z[1]::DOUBLE - z[2]::DOUBLE) * (z[1]::DOUBLE - z[2]::DOUBLE)))) * 10000) AS BIGINT) AS c_l2, CAST(a.label <> b.label AS BIGINT) AS c_change, CAST(1 AS BIGINT) AS c_hop FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) SELECT src, dst, c_l2, c_change, c_hop FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY c_l2, dst) AS r FROM p) WHERE r <= 6")
+def vector_knn_edges(spark, d):
+    return N.vector_knn(spark, d)
+
+
+@query("WITH e AS (SELECT event_type AS from_type, lead(event_type) OVER o AS to_type, date_diff('second', ts, lead(ts) OVER o) AS gap, CAST(abs(round(lead(value) OVER o * 100) - round(value * 100)) AS BIGINT) AS change FROM events WINDOW o AS (PARTITION BY user_id ORDER BY ts, event_id)) SELECT from_type, to_type, min(gap) AS c_gap, min(change) AS c_change, count(*) AS n FROM e WHERE to_type IS NOT NULL GROUP BY from_type, to_type")
+def event_flow_network(spark, d):
+    return N.event_flow(spark, d)
+
+
+def _other(name: str, edges_of, names: list[str], pairs, sql_edges: str, sql_tasks: str) -> None:
+    def f(spark, d):
+        return wide(batch.path_front(edges_of(spark, d), T.task_list(spark, pairs), names), names, ()).distinct()
+
+    cols = ", ".join(f"{c} AS c{i}" for i, c in enumerate(names))
+    head = oracle.front_rows(names, "X").replace(oracle.base(names, "X"), f"WITH RECURSIVE {sql_edges[0]}, {sql_tasks}, ed AS MATERIALIZED (SELECT src, dst, {cols} FROM {sql_edges[1]})")
+    query(head, name)(f)
+
+
+_other("trade_front", N.trade, ["c_price", "c_lag"], [(0, 1), (3, 7)], (oracle.TRADE, "trade"), "tasks AS (SELECT 1 AS task_id, CAST(0 AS BIGINT) AS src, CAST(1 AS BIGINT) AS dst UNION ALL SELECT 2, 3, 7)")
+_other("part_flow_front", N.part_flow, ["c_price", "c_days"], [(0, 20), (5, 60)], (oracle.FLOW, "flow"), "tasks AS (SELECT 1 AS task_id, CAST(0 AS BIGINT) AS src, CAST(20 AS BIGINT) AS dst UNION ALL SELECT 2, 5, 60)")
+
+
+# --- measures and workloads ------------------------------------------------------------------------------------------
+
+
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(task_id AS BIGINT) AS task_id, count(*) AS front_size FROM front GROUP BY task_id")
+def measure_front_sizes(spark, d):
+    r = batch.solve(grid(spark, d, "te"), three(spark, d), search_options={"ties": "one"})
+    return metrics.measure(r, 1).select("task_id", F.col("front_size").cast("long").alias("front_size"))
+
+
+@query(f"WITH RECURSIVE {oracle.GRID}, {oracle.LOCAL}, ed AS (SELECT src, dst, CAST(1 AS BIGINT) AS c0 FROM edges), {oracle.single_bounds(0, 1)}, h AS (SELECT key // 100000000 AS hops FROM lb0 l JOIN tasks t ON t.task_id = l.task_id AND t.src = l.node) SELECT CAST(hops // 4 AS BIGINT) AS bin, count(*) AS tasks FROM h GROUP BY 1")
+def measure_hop_bins(spark, d):
+    h = workloads.hop_counts(N.grid_road(spark, d), T.local(spark, d))
+    return h.groupBy(F.floor(F.col("hops") / 4).cast("long").alias("bin")).agg(F.count(F.lit(1)).alias("tasks"))
+
+
+@query(f"WITH {oracle.GRID}, {oracle.WIDE} SELECT count(*) AS tasks, CAST(avg(100.0) AS DOUBLE) AS visited_pct FROM tasks")
+def measure_visited_multi(spark, d):
+    e = grid(spark, d, "te")
+    n = N.table(spark, d, "customer").count()
+    return metrics.measure(batch.solve(e, T.wide(spark, d), "multi", bounds_only=True), n).agg(F.count(F.lit(1)).alias("tasks"), F.avg("visited_pct").alias("visited_pct"))
+
+
+@query()
+def measure_bound_tightness(spark, d):
+    e, t = grid(spark, d, "te"), three(spark, d)
+    return metrics.tightness({p: batch.bound_rows(e, t, p) for p in ("onepass", "twosided", "pair")}, batch.bound_rows(e, t, "multi"), 2)
+
+
+for _w, _f in workloads.WORKLOADS.items():
+    query(name=_w)(_f)
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    from . import surface
+    from .streaming import queries as stream
+
+    return {**QUERIES, **surface.QUERIES, **stream.QUERIES}
+
+
+def oracle_sql() -> dict[str, str]:
+    from . import surface
+    from .streaming import queries as stream
+
+    return {**SQL, **surface.SQL, **stream.SQL}
