@@ -7,10 +7,10 @@ elements a node, so that two nodes draw the same one with a probability equal to
 
 A bucket is not turned into pairs. Its most central node (the one with the largest buckets) is its leader, and the
 members are verified against the leader on their whole texts: exact weighted Jaccard similarity of at least `SIMILAR`.
-Links join nodes to classes. A bucket is done once all its nodes are in one class. In what remains, small
-buckets compare the samples of nodes of different classes, and large ones take further leaders, from their smallest
-classes, until they are small or done; only pairs whose samples agree often enough go to verification, and no pair
-is verified twice. Nothing is capped.
+Links join nodes to classes. A bucket is done once all its nodes are in one class. Elsewhere the outsiders, the nodes
+beside a bucket's largest class, are compared with all members, block by block, on whole vectors; only pairs whose
+samples agree often enough and whose classes are still apart are computed, so a task returns links and no pairs. A bucket
+with very many outsiders first takes further leaders, from its smallest classes. Nothing is capped.
 
 Document frequencies count every document: each task counts its shingles in groups of documents and sends those in at
 least `REPORT` of a group, so the sum falls short by less than that share. Only shingles in more than `COMMON` of
@@ -41,8 +41,9 @@ SAMPLES = BANDS * ROWS
 COMMON, REPORT, GROUP = 0.3, 0.05, 256
 #: Agreeing samples below which a pair is not verified: at similarity 0.8 it has fewer once in some thousands of pairs.
 LEAST_AGREE = 17
-#: Nodes of a bucket that one task may compare by their samples, and leaders that a larger one takes at a time.
-SMALL, LEADERS = 512, 8
+#: Nodes of a bucket outside its largest class up to which they are compared with all its members, members of a block
+#: of that comparison, and leaders that a bucket with more outsiders takes at a time.
+OUTSIDERS, BLOCK, LEADERS = 1024, 2048, 8
 
 _SPREAD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SEEDS = mix64(np.arange(1, SAMPLES + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019))
@@ -212,11 +213,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, weights) -> DataFrame:
         for batch in batches:
             out = []
             for a, b, x, y in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                (ka, wa), (kb, wb) = vector(a, x), vector(b, y)
-                _, i, j = np.intersect1d(ka, kb, True, True)
-                least, most = np.minimum(wa[i], wb[j]).sum(), np.maximum(wa[i], wb[j]).sum()
-                union = wa.sum() - wa[i].sum() + wb.sum() - wb[j].sum() + most
-                out.append(float(least / union) if union else 1.0)
+                out.append(similarity(*vector(a, x), *vector(b, y)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.float64())], ["a", "b", "similarity"])
 
     side = lambda c: texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}"))
@@ -238,21 +235,59 @@ def components(links: DataFrame, label: str = "components") -> DataFrame:
     raise RuntimeError("components did not settle")
 
 
-def _small_pairs(rows: DataFrame) -> DataFrame:
-    """Pairs of different classes inside small buckets (node, class, prints by bucket) whose samples agree often enough."""
+def _vectors(texts: DataFrame, weights) -> DataFrame:
+    """node, keys (its shingles, sorted), weights: whole vectors of the nodes that are compared inside buckets."""
+
+    def fn(batch: pa.RecordBatch):
+        owner, key, count = shingles(*text_views(batch.column(1)))
+        w = weights.value.of(key, count)
+        cut = np.searchsorted(owner, np.arange(batch.num_rows + 1))
+        spans = list(zip(cut[:-1], cut[1:], strict=True))
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([key[i:j].tobytes() for i, j in spans], pa.binary()), pa.array([w[i:j].tobytes() for i, j in spans], pa.binary())], ["node", "keys", "weights"])
+
+    return map_texts(texts, ["node", "text"], fn, "node long, keys binary, weights binary")
+
+
+def similarity(ka: np.ndarray, wa: np.ndarray, kb: np.ndarray, wb: np.ndarray) -> float:
+    """Weighted Jaccard similarity of two vectors with sorted keys."""
+    _, i, j = np.intersect1d(ka, kb, True, True)
+    least, most = np.minimum(wa[i], wb[j]).sum(), np.maximum(wa[i], wb[j]).sum()
+    union = wa.sum() - wa[i].sum() + wb.sum() - wb[j].sum() + most
+    return float(least / union) if union else 1.0
+
+
+def _settled(rows: DataFrame) -> DataFrame:
+    """Links inside (bucket, block): each outsider against every member of another class, until it is in that class."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("node")
         x = np.frombuffer(b"".join(pdf["prints"]), np.uint16).reshape(len(pdf), SAMPLES)
-        node, cls = pdf["node"].to_numpy(), pdf["class"].to_numpy()
-        a, b = [], []
-        for i in range(len(pdf) - 1):
-            hit = i + 1 + np.flatnonzero(((x[i + 1 :] == x[i]).sum(1) >= LEAST_AGREE) & (cls[i + 1 :] != cls[i]))
-            a.append(np.full(len(hit), node[i]))
-            b.append(node[hit])
-        return pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(b)})
-
-    return rows.groupBy("bucket").applyInPandas(run, "a long, b long")
+        node, out = pdf["node"].to_numpy(), pdf["outside"].to_numpy()
+        first_block = bool((pdf["block"] == 0).all())
+        keys = [np.frombuffer(k, np.uint64) for k in pdf["keys"]]
+        w = [np.frombuffer(k, np.float64) for k in pdf["weights"]]
+        codes, cls = np.unique(pdf["class"].to_numpy(), return_inverse=True)
+        parent = list(range(len(codes)))
+
+        def find(c: int) -> int:
+            while parent[c] != c:
+                parent[c] = parent[parent[c]]
+                c = parent[c]
+            return c
+
+        links = []
+        for i in np.flatnonzero(out).tolist():
+            agree = (x == x[i]).sum(1)
+            # outsiders meet each other once, in the first block
+            likely = np.flatnonzero((agree >= LEAST_AGREE) & (cls != cls[i]) & (~out | ((np.arange(len(x)) > i) & first_block)))
+            for j in likely[np.argsort(-agree[likely], kind="stable")].tolist():
+                p, q = find(int(cls[i])), find(int(cls[j]))
+                if p != q and similarity(keys[i], w[i], keys[j], w[j]) >= SIMILAR:
+                    parent[q] = p
+                    links.append((node[i], node[j]))
+        return pd.DataFrame(links, columns=["a", "b"], dtype=np.int64)
+
+    return rows.groupBy("bucket", "block").applyInPandas(run, "a long, b long")
 
 
 def classes(docs: DataFrame) -> DataFrame:
@@ -285,26 +320,34 @@ def classes(docs: DataFrame) -> DataFrame:
         k += 1
         label = components(links, f"classes-{k}")
         placed = open_.join(label, "node", "left").withColumn("class", F.coalesce("class", "node"))
-        mixed = placed.groupBy("bucket").agg(F.count(F.lit(1)).alias("size"), F.min("class").alias("low"), F.max("class").alias("high")).where(F.col("low") != F.col("high"))
-        state = materialise(placed.join(mixed.select("bucket", "size"), "bucket"), f"mixed-{k}")
-        small = _small_pairs(state.where(F.col("size") <= SMALL).join(nodes.select("node", "prints"), "node").select("bucket", "node", "class", "prints"))
-        large = state.where(F.col("size") > SMALL)
-        per = large.groupBy("bucket", "class").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("a"))
-        rank = Window.partitionBy("bucket").orderBy("n", "class")
-        chosen = per.withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= LEADERS).select("bucket", F.col("class").alias("own"), "a")
-        wide = large.join(chosen, "bucket").where(F.col("class") != F.col("own")).select("a", F.col("node").alias("b"))
-        more = small.unionByName(_likely(_ordered(wide).distinct(), nodes))
-        new = materialise(_ordered(more).distinct().join(done, ["a", "b"], "left_anti"), f"pairs-{k}")
-        if new.limit(1).count():
-            links = materialise(links.unionByName(_verified(new, texts, weights).where(F.col("similarity") >= SIMILAR)), f"links-{k}")
-            done = done.unionByName(new)
-        elif not large.limit(1).count():
+        per = placed.groupBy("bucket", "class").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("a"))
+        mixed = per.groupBy("bucket").agg(F.sum("n").alias("size"), F.max(F.struct("n", "class")).alias("main")).where(F.col("size") > F.col("main.n"))
+        mixed = materialise(mixed.select("bucket", "size", F.col("main.class").alias("main"), (F.col("size") - F.col("main.n")).alias("outsiders")), f"mixed-{k}")
+        if not mixed.limit(1).count():
             break
-        # Small buckets are settled now; large ones go on without the leaders that have met all others.
-        open_ = large.select("bucket", "node").join(chosen.select("bucket", F.col("a").alias("node")), ["bucket", "node"], "left_anti")
-        open_ = materialise(open_, f"open-{k}")
-        if not open_.limit(1).count():
-            label = components(links, f"classes-{k}-last")
+        state = placed.join(mixed, "bucket")
+        ready = state.where(F.col("outsiders") <= OUTSIDERS).withColumn("outside", F.col("class") != F.col("main"))
+        blocks = F.ceil(F.col("size") / BLOCK).cast("int")
+        spread = F.when(F.col("outside"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(F.pmod(F.xxhash64("node"), blocks).cast("int")))
+        ready = ready.select("bucket", "node", "class", "outside", F.explode(spread).alias("block"))
+        few = ready.select("node").distinct()
+        vectors = _vectors(texts.join(few, "node", "left_semi"), weights).join(nodes.select("node", "prints"), "node")
+        fresh = _settled(ready.join(vectors, "node"))
+        crowded = mixed.where(F.col("outsiders") > OUTSIDERS)
+        again = crowded.limit(1).count() > 0
+        if again:  # leaders of the smallest classes meet the whole bucket first, and then leave it
+            rank = Window.partitionBy("bucket").orderBy("n", "class")
+            chosen = per.join(crowded, "bucket").withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= LEADERS).select("bucket", F.col("class").alias("own"), "a")
+            chosen = materialise(chosen, f"leaders-{k}")
+            wide = placed.join(chosen, "bucket").where(F.col("class") != F.col("own")).select("a", F.col("node").alias("b"))
+            new = materialise(_likely(_ordered(wide).distinct(), nodes).join(done, ["a", "b"], "left_anti"), f"pairs-{k}")
+            done = done.unionByName(new)
+            fresh = fresh.unionByName(_verified(new, texts, weights).where(F.col("similarity") >= SIMILAR).select("a", "b"))
+            open_ = placed.join(crowded, "bucket", "left_semi").select("bucket", "node").join(chosen.select("bucket", F.col("a").alias("node")), ["bucket", "node"], "left_anti")
+            open_ = materialise(open_, f"open-{k}")
+        links = materialise(links.select("a", "b").unionByName(fresh), f"links-{k}")
+        if not again:
+            label = components(links, "classes-last")
             break
     placed = signed.select("row", "doc_id", "node").join(label, "node", "left").withColumn("class", F.coalesce("class", "node"))
     first = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "row")
