@@ -211,12 +211,12 @@ def _verified(pairs: DataFrame, texts: DataFrame, weights) -> DataFrame:
             return cached[node]
 
         for batch in batches:
-            out = []
-            for a, b, x, y in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                out.append(similarity(*vector(a, x), *vector(b, y)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.float64())], ["a", "b", "similarity"])
+            for k in range(0, batch.num_rows, 64):
+                part = batch.slice(k, 64)
+                out = [similarity(*vector(a, x), *vector(b, y)) for a, b, x, y in zip(*(c.to_pylist() for c in part.columns), strict=True)]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(out, pa.float64())], ["a", "b", "similarity"])
 
-    side = lambda c: texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}"))
+    side = lambda c: texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}")).hint("merge")
     return pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long, similarity double")
 
 
@@ -308,11 +308,7 @@ def classes(docs: DataFrame) -> DataFrame:
     done = materialise(_likely(pairs, nodes), "pairs-0")
     needed = rows.select("node").distinct()
 
-    @F.pandas_udf("long")
-    def node(text: pd.Series) -> pd.Series:
-        return pd.Series([node_of((t or "").encode()) for t in text], dtype=np.int64)
-
-    texts = materialise(docs.select(node("text").alias("node"), "text").join(needed, "node", "left_semi").dropDuplicates(["node"]), "texts")
+    texts = materialise(_named(docs).join(needed.hint("merge"), "node", "left_semi").dropDuplicates(["node"]), "texts")
     links = materialise(_verified(done, texts, weights).where(F.col("similarity") >= SIMILAR), "links-0")
     open_ = rows.select("bucket", "node")
     k = 0
@@ -331,7 +327,7 @@ def classes(docs: DataFrame) -> DataFrame:
         spread = F.when(F.col("outside"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(F.pmod(F.xxhash64("node"), blocks).cast("int")))
         ready = ready.select("bucket", "node", "class", "outside", F.explode(spread).alias("block"))
         few = ready.select("node").distinct()
-        vectors = _vectors(texts.join(few, "node", "left_semi"), weights).join(nodes.select("node", "prints"), "node")
+        vectors = _vectors(texts.join(few.hint("merge"), "node", "left_semi"), weights).join(nodes.select("node", "prints"), "node")
         fresh = _settled(ready.join(vectors, "node"))
         crowded = mixed.where(F.col("outsiders") > OUTSIDERS)
         again = crowded.limit(1).count() > 0
@@ -355,6 +351,16 @@ def classes(docs: DataFrame) -> DataFrame:
     return placed.join(heads, "class").select("row", "doc_id", "node", F.col("head.doc_id").alias("class_id"), "class_size", (F.col("row") == F.col("head.row")).alias("kept"))
 
 
+def _named(docs: DataFrame) -> DataFrame:
+    """node and text of every row."""
+
+    def fn(batch: pa.RecordBatch):
+        nodes = [node_of((t or "").encode()) for t in batch.column(0).to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), batch.column(0)], ["node", "text"])
+
+    return map_texts(docs, ["text"], fn, "node long, text string", 1 << 20)
+
+
 def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
