@@ -39,7 +39,7 @@ def ev_tumbling(spark, d):
     return U.run_to_memory(w).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
 
 
-@query("SELECT start, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts) + CASE WHEN hour(ts) >= 12 THEN INTERVAL 12 HOUR ELSE INTERVAL 0 HOUR END, date_trunc('day', ts) + CASE WHEN hour(ts) >= 12 THEN INTERVAL 0 HOUR ELSE INTERVAL -12 HOUR END])::TIMESTAMP AS start FROM events) GROUP BY start")
+@query("SELECT start, count(*) AS n FROM (SELECT unnest(CASE WHEN hour(ts) >= 12 THEN [date_trunc('day', ts), date_trunc('day', ts) + INTERVAL 12 HOUR] ELSE [date_trunc('day', ts) - INTERVAL 12 HOUR, date_trunc('day', ts)] END)::TIMESTAMP AS start FROM events) GROUP BY start")
 def ev_sliding(spark, d):
     w = U.event_stream(spark, d).groupBy(F.window("ts", "24 hours", "12 hours")).agg(F.count(F.lit(1)).alias("n"))
     return U.run_to_memory(w).select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")

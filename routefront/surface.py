@@ -99,13 +99,13 @@ def range_band_join(spark, d):
     return p.join(q, on).groupBy("p_partkey").agg(F.count(F.lit(1)).alias("pairs"))
 
 
-@query("SELECT e.event_id, (SELECT max_by(struct_pack(v := round(u.value * 100)::BIGINT), struct_pack(a := u.ts, b := u.event_id)).v FROM events u WHERE u.user_id = e.user_id AND u.event_type = 'purchase' AND (u.ts < e.ts OR (u.ts = e.ts AND u.event_id < e.event_id))) AS last_value FROM events e WHERE e.event_id % 10 = 0")
+@query("SELECT e.event_id, coalesce((SELECT max_by(struct_pack(v := round(u.value * 100)::BIGINT), struct_pack(a := u.ts, b := u.event_id)).v FROM events u WHERE u.user_id = e.user_id AND u.event_type = 'purchase' AND (u.ts < e.ts OR (u.ts = e.ts AND u.event_id < e.event_id))), -1) AS last_value FROM events e WHERE e.event_id % 10 = 0")
 def cost_asof_events(spark, d):
     """The user's last purchase value before each event."""
     e = t(spark, d, "events")
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     last = F.last(F.when(F.col("event_type") == "purchase", F.round(F.col("value") * 100).cast("long")), True).over(w)
-    return e.withColumn("last_value", last).where("event_id % 10 = 0").select("event_id", "last_value")
+    return e.withColumn("last_value", last).where("event_id % 10 = 0").select("event_id", F.coalesce("last_value", F.lit(-1)).alias("last_value"))
 
 
 @query("SELECT a.event_id, count(*) AS near FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id <> b.event_id AND b.ts BETWEEN a.ts - INTERVAL 12 HOUR AND a.ts + INTERVAL 12 HOUR GROUP BY a.event_id")
@@ -157,12 +157,12 @@ def win_topk_edges(spark, d):
     return N.grid_road(spark, d).select("src", "dst", "c_time", F.row_number().over(w).alias("rk")).where("rk <= 2")
 
 
-@query("SELECT o_custkey, o_orderkey, sum(cents) OVER w AS running, rank() OVER r AS rnk, dense_rank() OVER r AS drnk, lag(o_orderkey) OVER w AS before FROM (SELECT *, CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders) WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), r AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
+@query("SELECT o_custkey, o_orderkey, CAST(sum(cents) OVER w AS BIGINT) AS running, rank() OVER r AS rnk, dense_rank() OVER r AS drnk, coalesce(lag(o_orderkey) OVER w, -1) AS before FROM (SELECT *, CAST(round(o_totalprice * 100) AS BIGINT) AS cents FROM orders) WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), r AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
 def win_running_cost(spark, d):
     w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
     r = Window.partitionBy("o_custkey").orderBy("o_orderpriority")
     o = t(spark, d, "orders").withColumn("cents", F.round(F.col("o_totalprice") * 100).cast("long"))
-    return o.select("o_custkey", "o_orderkey", F.sum("cents").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"), F.rank().over(r).alias("rnk"), F.dense_rank().over(r).alias("drnk"), F.lag("o_orderkey").over(w).alias("before"))
+    return o.select("o_custkey", "o_orderkey", F.sum("cents").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"), F.rank().over(r).alias("rnk"), F.dense_rank().over(r).alias("drnk"), F.coalesce(F.lag("o_orderkey").over(w), F.lit(-1)).alias("before"))
 
 
 @query(f"{G} SELECT src, dst, count(*) OVER (PARTITION BY src % 50 ORDER BY c_time RANGE BETWEEN 20 PRECEDING AND 20 FOLLOWING) AS near FROM edges")
@@ -240,10 +240,10 @@ def scalar_math(spark, d):
     return t(spark, d, "customer").select("c_custkey", F.floor(F.sqrt(F.abs("c_acctbal"))).cast("long").alias("root"), F.signum("c_acctbal").cast("int").alias("sgn"), F.upper(F.substring("c_name", 1, 4)).alias("head"), F.md5(F.col("c_name").cast("binary")).alias("digest"), F.length("c_name").cast("long").alias("n"))
 
 
-@query("SELECT o_orderkey, year(o_orderdate) AS y, quarter(o_orderdate) AS q, CAST(date_trunc('month', o_orderdate) AS DATE) AS month, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS days FROM orders")
+@query("SELECT o_orderkey, year(o_orderdate) AS y, quarter(o_orderdate) AS q, strftime(o_orderdate, '%Y-%m') AS month, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS days FROM orders")
 def scalar_dates(spark, d):
     o = F.col("o_orderdate")
-    return t(spark, d, "orders").select("o_orderkey", F.year(o).cast("long").alias("y"), F.quarter(o).cast("long").alias("q"), F.trunc(o, "month").alias("month"), F.datediff(o, F.lit("1992-01-01").cast("date")).cast("long").alias("days"))
+    return t(spark, d, "orders").select("o_orderkey", F.year(o).cast("long").alias("y"), F.quarter(o).cast("long").alias("q"), F.date_format(o, "yyyy-MM").alias("month"), F.datediff(o, F.lit("1992-01-01").cast("date")).cast("long").alias("days"))
 
 
 @query("SELECT page_id, href, count(*) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages) GROUP BY page_id, href")
