@@ -6,9 +6,9 @@ symbol is its smoothed share of the symbol's count. Latent states start from Bau
 re-estimated by full passes in which every task sends its expected counts for all its training documents. A text's score
 is the scaled forward recursion over its symbols and the end, plus log P(word | symbol): the exact log-likelihood.
 
-Word counts reach the texts in two ways: the `KNOWN_WORDS` most frequent words are broadcast (their number is fixed), and
-all others, none of which can hold more than 1/KNOWN_WORDS of all tokens, are joined by a shuffle, summed within each
-document before it.
+Word counts reach the texts in two ways: the most frequent words, `KNOWN_WORDS` at most, are broadcast (found by levels of
+counts, so no sort of the vocabulary meets in one place), and all others, each a small share of all tokens, are joined by a
+shuffle, summed within each document before it.
 
 Cases: a null or empty text has one token, the end; a null doc_id is not learnt from and not held out; repeated rows
 are scored each; without training documents counts are 0 and the model is uniform; texts beyond `SEGMENT` tokens are cut
@@ -163,9 +163,23 @@ class Vocabulary:
         return float(np.log10((n + 0.5) / (self.class_total[k] + 0.5 * (self.class_distinct[k] + 1))))
 
 
+def _least_level(counts: DataFrame, level) -> int:
+    """The least level of counts (64 levels for each doubling) from which on there are at most KNOWN_WORDS words."""
+    per = sorted(((r["level"], r["words"]) for r in counts.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("words")).collect()), reverse=True)
+    words, least = 0, 1 << 30
+    for at, n in per:  # a few thousand levels at most
+        words += n
+        if words > KNOWN_WORDS:
+            break
+        least = at
+    return least
+
+
 def vocabulary(counts: DataFrame) -> Vocabulary:
+    level = F.floor(F.log2("n") * 64).cast("int")
     total = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("t"), F.count(F.lit(1)).alias("d")).first()
-    top = [(bytes(r["word"]), r["n"]) for r in counts.orderBy(F.desc("n"), "word").limit(KNOWN_WORDS).collect()]
+    top = [(bytes(r["word"]), r["n"]) for r in counts.where(level >= _least_level(counts, level)).collect()]  # at most KNOWN_WORDS
+    top.sort(key=lambda x: (-x[1], x[0]))
     symbol = {w: i for i, (w, _) in enumerate(top[:SYMBOLS_WORDS])}
     ending = F.when(F.length("word") > 2, F.substring(F.col("word"), -2, 2)).otherwise(F.col("word"))
     per_class = counts.groupBy((F.crc32(ending) % CLASSES).cast("int").alias("k")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("d"))
