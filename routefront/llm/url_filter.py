@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, mix64
 
 #: Wrong answers a level may give before the next one mends them, and the bytes a level may have when it is broadcast.
 FALSE_RATE, MOST_BYTES = 0.01, 256 << 20
@@ -78,9 +78,13 @@ def candidate(host: Column, path: Column, labels: int, chars: int) -> Column:
 
 
 class Level:
-    """Bits of one Bloom filter; positions by double hashing of two 64-bit hashes."""
+    """Bits of one Bloom filter; positions by double hashing of two 64-bit hashes, mixed anew with the level's depth.
 
-    def __init__(self, keys: int, rate: float = FALSE_RATE):
+    Without the depth two keys that meet at one level would meet at every later one of the same size.
+    """
+
+    def __init__(self, keys: int, rate: float = FALSE_RATE, depth: int = 1):
+        self.depth = np.uint64(depth * 0x9E3779B97F4A7C15 % (1 << 64))
         bits = max(64, math.ceil(-max(keys, 1) * math.log(rate) / math.log(2) ** 2))
         if bits / 8 > MOST_BYTES:
             raise ValueError(f"a level of {bits // 8} bytes is too large to broadcast; raise its false rate or MOST_BYTES")
@@ -90,7 +94,8 @@ class Level:
 
     def places(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         k = np.arange(self.hashes, dtype=np.uint64)[:, None]
-        return (a.view(np.uint64) + k * (b.view(np.uint64) | np.uint64(1))) % np.uint64(self.size)
+        a, b = mix64(a.view(np.uint64) + self.depth), mix64(b.view(np.uint64) ^ self.depth)
+        return (a + k * (b | np.uint64(1))) % np.uint64(self.size)
 
     def add(self, a: np.ndarray, b: np.ndarray) -> None:
         at = self.places(a, b).ravel()
@@ -129,21 +134,21 @@ def build_cascade(universe: DataFrame, listed: DataFrame, rate: float = FALSE_RA
         n = sides[side].count()
         if not n:
             return levels
-        level = _merged(sides[side], n, rate)
+        level = _merged(sides[side], n, rate, len(levels) + 1)
         levels.append(level)
         other = 1 - side
         sides[other] = materialise(_taken(sides[other], level), f"level{len(levels)}")
 
 
-def _merged(keys: DataFrame, n: int, rate: float) -> Level:
+def _merged(keys: DataFrame, n: int, rate: float, depth: int) -> Level:
     def run(batches):
-        part = Level(n, rate)
+        part = Level(n, rate, depth)
         for pdf in batches:
             part.add(pdf["a"].to_numpy(np.int64), pdf["b"].to_numpy(np.int64))
         used = np.flatnonzero(part.bits)
         yield pd.DataFrame({"at": used, "bits": part.bits[used].astype(np.int32)})
 
-    level = Level(n, rate)
+    level = Level(n, rate, depth)
     merged = keys.mapInPandas(run, "at long, bits int").groupBy("at").agg(F.bit_or("bits").alias("bits"))
     for part in merged.toLocalIterator():  # as many rows as the level has non-zero bytes, which MOST_BYTES bounds
         level.bits[part["at"]] = part["bits"]

@@ -74,7 +74,7 @@ def test_cascade_is_exact():
     listed, rest = keys[:400], keys[400:]
     levels, sides = [], [listed, rest]
     while len(sides[len(levels) % 2]):
-        level = url_filter.Level(len(sides[len(levels) % 2]), 0.2)
+        level = url_filter.Level(len(sides[len(levels) % 2]), 0.2, len(levels) + 1)
         level.add(sides[len(levels) % 2][:, 0].copy(), sides[len(levels) % 2][:, 1].copy())
         levels.append(level)
         other = len(levels) % 2
