@@ -15,7 +15,7 @@ from __future__ import annotations
 import base64
 import hashlib
 from heapq import heappop, heappush
-from itertools import chain
+from itertools import chain, pairwise
 
 import pyarrow as pa
 import regex
@@ -31,7 +31,7 @@ BLANK = r"\t-\r \x85\xa0  -     　"
 RARE_BLANKS = [c for c in map(chr, [*range(0x09, 0x0E), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]) if c != "\n"]
 DOUBLE = ("  ", "\n ", " \n", "\n\n")
 #: Distinct units whose ids a worker remembers; it starts afresh beyond that.
-REMEMBERED = 300_000
+REMEMBERED = 600_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -45,20 +45,38 @@ def splitter(pattern: str):
     return regex.compile(spelled)
 
 
-def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
+class Merges:
+    """A vocabulary made ready: ids of single bytes, rank of every pair of ids that some token splits into, bitmap places of ranks."""
+
+    def __init__(self, ranks: dict[bytes, int]):
+        self.ranks = ranks
+        self.single = [ranks[bytes([i])] for i in range(256)]
+        self.pairs: dict[int, int] = {}
+        for token, rank in ranks.items():
+            for cut in range(1, len(token)):
+                left, right = ranks.get(token[:cut]), ranks.get(token[cut:])
+                if left is not None and right is not None:
+                    self.pairs[left << 16 | right] = rank
+        bits = [1 << i for i in range(max(WORD, len(ranks) // WORD + 2))]
+        self.word = [r // WORD for r in range(max(ranks.values()) + 1)]
+        self.low = [bits[r % WORD] for r in range(max(ranks.values()) + 1)]
+        self.bits = bits
+
+
+def merge(piece: bytes, table: Merges) -> list[int]:
     """Ids of one pre-token. A whole pre-token of the vocabulary is its own id.
 
     `summary` and `words` are the bitmap, `buckets` the queued left positions by rank, `live` the rank of the pair
-    that starts at a position (stale entries differ from it), `part`, `after` and `before` the linked symbols.
+    that starts at a position (stale entries differ from it), `ids`, `after` and `before` the linked symbols.
     """
-    if (whole := ranks.get(piece)) is not None:
+    if (whole := table.ranks.get(piece)) is not None:
         return [whole]
-    n = len(piece)
-    get = ranks.get
-    part: list = [piece[i : i + 1] for i in range(n)]
+    get, word_of, low_of, bits = table.pairs.get, table.word, table.low, table.bits
+    ids: list = list(map(table.single.__getitem__, piece))
+    n = len(ids)
     after = list(range(1, n + 1))
     before = list(range(-1, n - 1))
-    live = [get(piece[i : i + 2]) for i in range(n - 1)]
+    live = [get(a << 16 | b) for a, b in pairwise(ids)]
     live.append(None)
     summary, words, buckets = 0, {}, {}
     for i, r in enumerate(live):
@@ -67,55 +85,59 @@ def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
                 buckets[r].append(i)  # in ascending order, and so a heap
             else:
                 buckets[r] = [i]
-                w = r // WORD
-                words[w] = words.get(w, 0) | 1 << r % WORD
-                summary |= 1 << w
+                w = word_of[r]
+                words[w] = words.get(w, 0) | low_of[r]
+                summary |= bits[w]
     while summary:
         w = (summary & -summary).bit_length() - 1
         word = words[w]
         low = word & -word
         rank = w * WORD + low.bit_length() - 1
         bucket = buckets[rank]
-        i = heappop(bucket) if len(bucket) > 1 else bucket.pop()
-        if not bucket:
+        if len(bucket) > 1:
+            i = heappop(bucket)
+        else:
+            i = bucket[0]
             del buckets[rank]
             word ^= low
             words[w] = word
             if not word:
-                summary ^= 1 << w
+                summary ^= bits[w]
         if live[i] != rank:
             continue
         j = after[i]
-        joined = part[i] = part[i] + part[j]
+        ids[i] = rank
         live[j] = None
         k = after[i] = after[j]
         if k < n:
             before[k] = i
-            r = get(joined + part[k])
-        else:
-            r = None
-        live[i] = r
-        h = before[i]
-        if h >= 0:
-            q = get(part[h] + joined)
-            if q == live[h]:
-                q = None  # the entry that is queued still stands for it
-            else:
-                live[h] = q
-        else:
-            q = None
-        for r, at in ((r, i), (q, h)):
+            live[i] = r = get(rank << 16 | ids[k])
             if r is not None:
                 if r in buckets:
-                    heappush(buckets[r], at)
+                    heappush(buckets[r], i)
                 else:
-                    buckets[r] = [at]
-                    w = r // WORD
-                    words[w] = words.get(w, 0) | 1 << r % WORD
-                    summary |= 1 << w
+                    buckets[r] = [i]
+                    w = word_of[r]
+                    words[w] = words.get(w, 0) | low_of[r]
+                    summary |= bits[w]
+        else:
+            live[i] = None
+        h = before[i]
+        if h >= 0:
+            r = get(ids[h] << 16 | rank)
+            if r != live[h]:  # else the entry that is queued still stands for it
+                live[h] = r
+                if r is not None:
+                    if r in buckets:
+                        heappush(buckets[r], h)
+                    else:
+                        buckets[r] = [h]
+                        w = word_of[r]
+                        words[w] = words.get(w, 0) | low_of[r]
+                        summary |= bits[w]
     out, i = [], 0
     while i < n:
-        out.append(ranks[part[i]])
+        out.append(ids[i])
         i = after[i]
     return out
 
@@ -140,16 +162,19 @@ class Encoder:
         self.ranks, self.split = ranks, splitter(pattern)
         self.bytes_of = {i: b for b, i in ranks.items()}
         self.digits = list(map(str, range(max(self.bytes_of) + 1)))
+        self.merges = None if encode_unit else Merges(ranks)
         self.unit = encode_unit or self._merged
         self.known = Units(self.unit)
         self.pieces: dict[str, list[int]] = {}
 
     def _merged(self, text: str) -> list[int]:
+        if text[1:].isalpha() and text[0] == " ":
+            return merge(text.encode("utf-8"), self.merges)  # one pre-token
         out: list[int] = []
         for piece in self.split.findall(text):
             ids = self.pieces.get(piece)
             if ids is None:
-                ids = merge(piece.encode("utf-8"), self.ranks)
+                ids = merge(piece.encode("utf-8"), self.merges)
                 if len(piece) < 64:
                     if len(self.pieces) >= REMEMBERED:
                         self.pieces.clear()
