@@ -12,6 +12,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: White space of every contract here: space and \x09-\x0D. bytes.split() splits on exactly these.
 SPACE = np.zeros(256, bool)
@@ -95,6 +96,27 @@ def map_texts(df: DataFrame, columns: list, fn: Callable[[pa.RecordBatch], Itera
     return df.select(*columns).mapInArrow(run, schema)
 
 
+def map_rows(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: T.StructType, limit: int = 1 << 20, text: str = "text") -> DataFrame:
+    """fn over slices of whole rows, all columns of df included; memory is bounded by limit and the longest row."""
+
+    def run(batches):
+        for batch in batches:
+            for part in slices(batch, text, limit):
+                yield fn(part)
+
+    return df.mapInArrow(run, schema)
+
+
+def add_long(df: DataFrame, name: str, of: Callable[[str | None], int]) -> DataFrame:
+    """df with a column of whole numbers computed from each text."""
+
+    def fn(part: pa.RecordBatch) -> pa.RecordBatch:
+        made = pa.array([of(t) for t in part.column(part.schema.get_field_index("text")).to_pylist()], pa.int64())
+        return pa.RecordBatch.from_arrays([*part.columns, made], [*part.schema.names, name])
+
+    return map_rows(df, fn, T.StructType([*df.schema.fields, T.StructField(name, T.LongType())]))
+
+
 def token_bounds(buf: np.ndarray, offs: np.ndarray, space: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Start, end and document index of every word (run of bytes outside `space`) of the concatenated texts."""
     if not len(buf):

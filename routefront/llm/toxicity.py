@@ -15,15 +15,14 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_bucket, lower_ascii, map_texts, text_views, token_bounds, token_hashes
+from .common import id_bucket, lower_ascii, map_rows, map_texts, text_views, token_bounds, token_hashes
 
 #: Hash buckets of words, labelled documents and bytes a text that training may read, passes over them.
-BUCKETS, SAMPLE_DOCS, SAMPLE_BYTES, EPOCHS = 1 << 17, 12000, 200_000, 80
+BUCKETS, SAMPLE_DOCS, SAMPLE_BYTES, EPOCHS = 1 << 17, 4000, 200_000, 80
 #: Bytes of a word's beginnings that are features beside the word, for stems with endings.
 PREFIXES = (4, 5, 6)
 #: Documents of the sample a word must occur in, standard errors taken off its log odds, pull back to those odds, weight of a toxic document.
@@ -69,44 +68,62 @@ def softplus(z: np.ndarray) -> np.ndarray:
     return np.logaddexp(0, z)
 
 
-def train(words: np.ndarray, first: np.ndarray, doc: np.ndarray, labels: np.ndarray, epochs: int = EPOCHS, rate: float = 0.05, least: int = LEAST_DOCS, doubt: float = DOUBT) -> Model:
-    """Adam on the noisy-or likelihood, from cautious log odds. doc: document of each sentence; labels: 0/1 of each document.
+Instances = tuple[np.ndarray, np.ndarray]  # a document's word buckets, sentence after sentence, and how many each sentence has
+
+
+def split_documents(words: np.ndarray, first: np.ndarray, doc: np.ndarray, n: int) -> list[Instances]:
+    """`features` of n texts, document by document."""
+    sizes = np.diff(np.append(first, len(words)))
+    at = np.searchsorted(doc, np.arange(n + 1))
+    cut = np.append(first, len(words))[at]
+    return [(words[cut[i] : cut[i + 1]].astype(np.int32), sizes[at[i] : at[i + 1]].astype(np.int32)) for i in range(n)]
+
+
+def train(documents: list[Instances], labels: np.ndarray, epochs: int = EPOCHS, rate: float = 0.05, least: int = LEAST_DOCS, doubt: float = DOUBT) -> Model:
+    """Adam on the noisy-or likelihood, from cautious log odds. labels: 0/1 of each document.
 
     A word's weight starts as its log odds between toxic and clean documents, drawn to zero by `doubt` standard errors;
     words without such evidence, or in fewer than `least` documents, are not learnt.
     """
     w, bias = np.zeros(BUCKETS), -6.0
-    if not len(words) or not labels.any():
+    if not documents or not labels.any():
         return Model(w, -12.0)
-    length = np.diff(np.append(first, len(words)))
-    pairs = np.unique(np.repeat(doc, length) * BUCKETS + words)
-    toxic = np.bincount(pairs % BUCKETS, labels[pairs // BUCKETS], BUCKETS)
-    clean = np.bincount(pairs % BUCKETS, minlength=BUCKETS) - toxic
+    seen = np.zeros((2, BUCKETS))  # documents that have a word: clean, toxic
+    for (words, _), y in zip(documents, labels.tolist(), strict=True):
+        seen[int(y), np.unique(words)] += 1
+    clean, toxic = seen
     n = labels.sum()
     odds = np.log((toxic + 0.5) / (n + 1)) - np.log((clean + 0.5) / (len(labels) - n + 1))
     w0 = np.sign(odds) * np.maximum(np.abs(odds) - doubt * np.sqrt(1 / (toxic + 0.5) + 1 / (clean + 0.5)), 0)
     used = np.flatnonzero((w0 != 0) & (toxic + clean >= least))
-    place = np.full(BUCKETS, len(used))
-    place[used] = np.arange(len(used))
-    words = place[words]  # words that are not learnt share a last place whose weight stays 0
-    start = np.append(w0[used], 0.0)
+    place = np.full(BUCKETS, -1, np.int32)
+    place[used] = np.arange(len(used), dtype=np.int32)
+    kept, owner, total_sentences = [], [], 0
+    for i, (words, sizes) in enumerate(documents):
+        p = place[words]
+        sentence = np.repeat(np.arange(len(sizes), dtype=np.int32), sizes) + total_sentences
+        kept.append((p[p >= 0], sentence[p >= 0]))  # words that are not learnt weigh nothing
+        owner.append(np.full(len(sizes), i, np.int32))
+        total_sentences += len(sizes)
+    words, sentence = (np.concatenate([k[j] for k in kept]) for j in (0, 1))
+    doc = np.concatenate(owner)
+    start = w0[used]
     wu = start.copy()
     m, v = np.zeros(len(wu) + 1), np.zeros(len(wu) + 1)
     positive = labels == 1
     for t in range(1, epochs + 1):
-        z = np.add.reduceat(wu[words], first) + bias
+        z = np.bincount(sentence, wu[words], total_sentences) + bias
         total = np.bincount(doc, softplus(z), len(labels))
         # dL/dS: 1 for a clean document, -1/(exp(S) - 1) for a toxic one
         slope = np.where(positive, -FAVOUR / np.maximum(np.expm1(np.minimum(total, 50)), 1e-3), 1.0)
         dz = slope[doc] / (1 + np.exp(-np.clip(z, -50, 50)))
-        g = np.append(np.bincount(words, np.repeat(dz, length), len(wu)) + ANCHOR * (wu - start), dz.sum())
-        g[-2] = 0.0
+        g = np.append(np.bincount(words, dz[sentence], len(wu)) + ANCHOR * (wu - start), dz.sum())
         m = 0.9 * m + 0.1 * g
         v = 0.99 * v + 0.01 * g * g
         step = rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-2)
         wu -= step[:-1]
         bias -= step[-1]
-    w[used] = wu[:-1]
+    w[used] = wu
     return Model(w, float(bias))
 
 
@@ -121,28 +138,15 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column | None = None, sample_
     def fn(batch: pa.RecordBatch):
         buf, offs = text_views(batch.column(1))
         words, first, doc, _ = features(buf, offs)
-        n = np.diff(np.append(first, len(words)))
-        size = np.bincount(doc, n, batch.num_rows).astype(np.int64)
-        cut = np.append(0, np.cumsum(size))
-        per = np.append(0, np.cumsum(np.bincount(doc, minlength=batch.num_rows)))
+        parts = split_documents(words, first, doc, batch.num_rows)
         yield pa.RecordBatch.from_arrays(
-            [
-                batch.column(0),
-                batch.column(2),
-                pa.array([words[a:b].astype(np.int32).tobytes() for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()),
-                pa.array([n[a:b].astype(np.int32).tobytes() for a, b in zip(per[:-1], per[1:], strict=True)], pa.binary()),
-            ],
+            [batch.column(0), batch.column(2), pa.array([p[0].tobytes() for p in parts], pa.binary()), pa.array([p[1].tobytes() for p in parts], pa.binary())],
             ["doc_id", "toxic", "words", "sizes"],
         )
 
     rows = map_texts(texts, ["doc_id", "text", "toxic"], fn, "doc_id long, toxic int, words binary, sizes binary").collect()  # at most sample_docs labels
     rows.sort(key=lambda r: r["doc_id"])
-    words = np.concatenate([np.zeros(0, np.int32), *(np.frombuffer(r["words"], np.int32) for r in rows)]).astype(np.int64)
-    sizes = [np.frombuffer(r["sizes"], np.int32) for r in rows]
-    n = np.concatenate([np.zeros(0, np.int32), *sizes]).astype(np.int64)
-    first = np.append(0, np.cumsum(n))[:-1]
-    doc = np.repeat(np.arange(len(rows)), [len(s) for s in sizes])
-    return train(words, first, doc, np.array([r["toxic"] for r in rows], np.int64))
+    return train([(np.frombuffer(r["words"], np.int32), np.frombuffer(r["sizes"], np.int32)) for r in rows], np.array([r["toxic"] for r in rows], np.int64))
 
 
 def _scores(batch_text: pa.Array, n: int, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -166,20 +170,6 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
     return map_texts(docs, ["doc_id", "text"], fn, "doc_id long, score double, worst_start long")
 
 
-def score_column(docs: DataFrame, model: Model) -> Column:
-    """The score as a column of docs, for filters that keep all columns."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
-
-    @F.pandas_udf("double")
-    def of(text: pd.Series) -> pd.Series:
-        out = []
-        for t in text:
-            out.append(_scores(pa.array([t], pa.large_string()), 1, shared.value)[0][0])
-        return pd.Series(out, dtype=float)
-
-    return of("text")
-
-
 def offending_sentences(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
     """doc_id, start (byte), p: sentences whose own probability reaches the threshold."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
@@ -203,5 +193,10 @@ def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """docs whose score stays below the threshold, all columns."""
-    model = fit(docs, labels, id_bucket("doc_id", 3) != 1)
-    return docs.where(F.coalesce(score_column(docs, model), F.lit(0.0)) < THRESHOLD)
+    shared = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, id_bucket("doc_id", 3) != 1))
+
+    def fn(part: pa.RecordBatch) -> pa.RecordBatch:
+        p = _scores(part.column(part.schema.get_field_index("text")), part.num_rows, shared.value)[0]
+        return part.filter(pa.array(p < THRESHOLD))
+
+    return map_rows(docs, fn, docs.schema)
