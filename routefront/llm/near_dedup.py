@@ -32,7 +32,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_texts, materialise, mix64, slices, text_views, token_bounds, token_hashes
+from .common import add_long, map_texts, materialise, mix64, slices, text_views, token_bounds, token_hashes
 
 SHINGLE, SIMILAR = 5, 0.8
 BANDS, ROWS = 10, 3
@@ -369,11 +369,7 @@ def deduplicate(docs: DataFrame) -> DataFrame:
     """docs with one row of every class, all columns."""
     kept = materialise(classes(docs).where("kept").select(F.col("doc_id").alias("__rf_doc"), F.col("node").alias("__rf_node")), "kept")
 
-    @F.pandas_udf("long")
-    def node(text: pd.Series) -> pd.Series:
-        return pd.Series([node_of((t or "").encode()) for t in text], dtype=np.int64)
-
-    own = docs.withColumn("__rf_own", node("text"))
+    own = add_long(docs, "__rf_own", lambda t: node_of((t or "").encode()))
     same = own["doc_id"].cast("long").eqNullSafe(kept["__rf_doc"]) & (own["__rf_own"] == kept["__rf_node"])
     once = Window.partitionBy("doc_id", "__rf_own").orderBy("doc_id")  # rows repeated whole
     return own.join(kept, same, "left_semi").withColumn("__rf_rank", F.row_number().over(once)).where("__rf_rank = 1").select(*docs.columns)

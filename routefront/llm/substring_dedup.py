@@ -9,7 +9,7 @@ keeps the passage; repeats inside one document are its own matter and stay.
 A digest's first place comes from a map-side combined minimum, so a passage that a third of all documents share is one
 row per task in the shuffle; only its join back has a hot key, which adaptive execution splits.
 
-Cases: null and empty texts have no chunks; rows with equal doc_id and text count as one document; a null doc_id comes
+Cases: null and empty texts have no chunks; rows with equal doc_id and text (15 bits of its hash) count as one document; a null doc_id comes
 after all others; a text without any cut is cut every `MOST` bytes; an empty table gives an empty result; other columns
 of a table pass through `remove_repeats` unchanged, whatever their names.
 """
@@ -17,13 +17,12 @@ of a table pass through `remove_repeats` unchanged, whatever their names.
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SPACE, map_texts, materialise, mix64, text_views
+from .common import SPACE, add_long, map_rows, map_texts, materialise, mix64, text_views
 
 #: Bytes the hash looks back on, bits that must be zero at a cut, least and most bytes of a chunk.
 WINDOW, BITS, LEAST, MOST = 16, 4, 20, 128
@@ -68,11 +67,17 @@ def cuts(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.array(borders, np.int64), np.array(owner, np.int64)
 
 
-CHUNKS = "doc_id long, version long, nth int, start long, length int, words int, digest long"
+#: A chunk's place in one number: 15 bits of the text's hash (`version`), 32 of its first byte, 8 each of bytes and words.
+CHUNKS = "doc_id long, span long, digest long"
+
+
+def version_of(raw) -> int:
+    """Tells texts of one doc_id apart."""
+    return xxhash.xxh3_64_intdigest(raw) >> 49
 
 
 def chunks(docs: DataFrame) -> DataFrame:
-    """One row per chunk. `version` is a hash of the text, which tells rows of one doc_id apart; start and length count bytes."""
+    """One row per chunk, three numbers each: all that crosses the shuffles."""
 
     def fn(batch: pa.RecordBatch):
         buf, offs = text_views(batch.column(1))
@@ -86,35 +91,31 @@ def chunks(docs: DataFrame) -> DataFrame:
         upto = np.append(0, np.cumsum(begins))
         view = memoryview(np.ascontiguousarray(buf))
         digest = np.fromiter((xxhash.xxh3_64_intdigest(view[a:b]) for a, b in zip(start.tolist(), end.tolist(), strict=True)), np.uint64, len(start))
-        version = np.array([xxhash.xxh3_64_intdigest(view[a:b]) for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)], np.uint64).view(np.int64)
-        first = np.searchsorted(doc, doc, "left")
-        cols = [
-            batch.column(0).take(pa.array(doc)),
-            pa.array(version[doc]),
-            pa.array((np.arange(len(doc)) - first).astype(np.int32)),
-            pa.array(start - offs[doc]),
-            pa.array((end - start).astype(np.int32)),
-            pa.array((upto[end] - upto[start]).astype(np.int32)),
-            pa.array(digest.view(np.int64)),
-        ]
-        yield pa.RecordBatch.from_arrays(cols, [x.split()[0] for x in CHUNKS.split(", ")])
+        version = np.array([version_of(view[a:b]) for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)], np.int64)
+        span = version[doc] << 48 | (start - offs[doc]) << 16 | (end - start) << 8 | (upto[end] - upto[start])
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(doc)), pa.array(span), pa.array(digest.view(np.int64))], ["doc_id", "span", "digest"])
 
     return map_texts(docs, [F.col("doc_id").cast("long").alias("doc_id"), "text"], fn, CHUNKS)
 
 
+def _bits(column: str, low: int, count: int) -> Column:
+    return F.shiftright(F.col(column), low).bitwiseAND(F.lit((1 << count) - 1))
+
+
 def repeated_passages(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """doc_id, version, start, length (bytes), words, chunks, first_doc_id: one row per passage that an earlier document has."""
     made = materialise(chunks(docs), "chunks")
-    place = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "version")
-    owners = made.groupBy("digest").agg(F.min(place).alias("first"), F.max(place).alias("other")).where(F.col("first") != F.col("other"))
-    owners = owners.select("digest", F.col("first.doc_id").alias("first_doc_id"), F.col("first.version").alias("first_version"))
-    repeats = made.join(owners, "digest").where(~(F.col("doc_id").eqNullSafe(F.col("first_doc_id")) & (F.col("version") == F.col("first_version"))))
-    repeats = repeats.select("doc_id", "version", "nth", "start", "length", "words", "first_doc_id").dropDuplicates(["doc_id", "version", "nth"])
-    order = Window.partitionBy("doc_id", "version").orderBy("nth")
-    runs = repeats.withColumn("run", F.col("nth") - F.row_number().over(order))
-    spans = runs.groupBy("doc_id", "version", "run").agg(
-        F.min("start").alias("start"), F.sum(F.col("length").cast("long")).alias("length"), F.sum(F.col("words").cast("long")).alias("words"), F.count(F.lit(1)).alias("chunks"), F.min("first_doc_id").alias("first_doc_id")
-    )
+    doc, tag = F.coalesce("doc_id", F.lit((1 << 63) - 1)), _bits("span", 48, 15)
+    owners = made.groupBy("digest").agg(F.min(doc).alias("first"), F.max(doc).alias("other"), F.min(tag).alias("first_tag"), F.max(tag).alias("other_tag"))
+    owners = owners.where((F.col("first") != F.col("other")) | (F.col("first_tag") != F.col("other_tag")))
+    later = (doc != F.col("first")) | ((F.col("first") == F.col("other")) & (tag != F.col("first_tag")))
+    repeats = made.join(owners.hint("merge"), "digest").where(later)
+    repeats = repeats.select("doc_id", _bits("span", 48, 15).alias("version"), _bits("span", 16, 32).alias("start"), _bits("span", 8, 8).alias("length"), _bits("span", 0, 8).alias("words"), F.col("first").alias("first_doc_id"))
+    repeats = repeats.dropDuplicates(["doc_id", "version", "start"])  # rows repeated whole
+    order = Window.partitionBy("doc_id", "version").orderBy("start")
+    gap = F.lag(F.col("start") + F.col("length"), 1, -1).over(order) != F.col("start")
+    runs = repeats.withColumn("gap", gap.cast("int")).withColumn("run", F.sum("gap").over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    spans = runs.groupBy("doc_id", "version", "run").agg(F.min("start").alias("start"), F.sum("length").alias("length"), F.sum("words").alias("words"), F.count(F.lit(1)).alias("chunks"), F.min("first_doc_id").alias("first_doc_id"))
     return spans.where(F.col("words") >= min_words).drop("run")
 
 
@@ -123,27 +124,29 @@ def remove_repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     spans = repeated_passages(docs, min_words).groupBy("doc_id", "version").agg(F.sort_array(F.collect_list(F.struct("start", "length"))).alias("__rf_spans"))
     spans = materialise(spans, "spans").withColumnsRenamed({"doc_id": "__rf_doc", "version": "__rf_version"})
 
-    @F.pandas_udf("long")
-    def version(text: pd.Series) -> pd.Series:
-        return pd.Series(np.array([xxhash.xxh3_64_intdigest((t or "").encode()) for t in text], np.uint64).view(np.int64))
-
-    @F.pandas_udf("string")
-    def cut(text: pd.Series, spans: pd.Series) -> pd.Series:
-        out = []
-        for t, s in zip(text, spans, strict=True):
-            if s is None or len(s) == 0:
-                out.append(t)
-                continue
-            raw, kept, at = t.encode(), [], 0
-            for span in s:
-                kept.append(raw[at : span["start"]])
-                at = span["start"] + span["length"]
-            out.append(b"".join([*kept, raw[at:]]).decode())
-        return pd.Series(out, dtype=object)
-
-    own = docs.withColumn("__rf_version_of", version("text"))
+    has_count = "n_chars" in docs.columns
+    names = docs.columns
+
+    def cut(part: pa.RecordBatch) -> pa.RecordBatch:
+        cols = dict(zip(part.schema.names, part.columns, strict=True))
+        spans = cols["__rf_spans"].to_pylist()
+        if any(spans):
+            texts = cols["text"].to_pylist()
+            counts = cols["n_chars"].to_pylist() if has_count else None
+            for i, s in enumerate(spans):
+                if s:
+                    raw, kept, at = texts[i].encode(), [], 0
+                    for span in s:
+                        kept.append(raw[at : span["start"]])
+                        at = span["start"] + span["length"]
+                    texts[i] = b"".join([*kept, raw[at:]]).decode()
+                    if has_count:
+                        counts[i] = len(texts[i])
+            cols["text"] = pa.array(texts, cols["text"].type)
+            if has_count:
+                cols["n_chars"] = pa.array(counts, cols["n_chars"].type)
+        return pa.RecordBatch.from_arrays([cols[n] for n in names], names)
+
+    own = add_long(docs, "__rf_version_of", lambda t: version_of((t or "").encode()))
     joined = own.join(spans, own["doc_id"].eqNullSafe(spans["__rf_doc"]) & (own["__rf_version_of"] == spans["__rf_version"]), "left")
-    out = joined.withColumn("text", F.when(F.col("__rf_spans").isNull(), F.col("text")).otherwise(cut("text", "__rf_spans")))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("__rf_spans").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return out.select(*docs.columns)
+    return map_rows(joined.select(*(own[c] for c in names), "__rf_spans"), cut, docs.schema)
