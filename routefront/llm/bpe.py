@@ -31,7 +31,7 @@ BLANK = r"\t-\r \x85\xa0  -     　"
 RARE_BLANKS = [c for c in map(chr, [*range(0x09, 0x0E), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]) if c != "\n"]
 DOUBLE = ("  ", "\n ", " \n", "\n\n")
 #: Distinct units whose ids a worker remembers; it starts afresh beyond that.
-REMEMBERED = 600_000
+REMEMBERED = 400_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -145,11 +145,11 @@ def merge(piece: bytes, table: Merges) -> list[int]:
 class Units(dict):
     """Ids of the units seen so far, by the text after their leading space."""
 
-    def __init__(self, encode):
-        self.encode = encode
+    def __init__(self, encode, most: int):
+        self.encode, self.most = encode, most
 
     def __missing__(self, rest: str) -> list[int]:
-        if len(self) >= REMEMBERED:
+        if len(self) >= self.most:
             self.clear()
         ids = self[rest] = self.encode(" " + rest)
         return ids
@@ -158,13 +158,13 @@ class Units(dict):
 class Encoder:
     """Encodes and decodes whole texts. Units between single spaces are remembered with their ids."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, encode_unit=None):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, encode_unit=None, most: int = REMEMBERED):
         self.ranks, self.split = ranks, splitter(pattern)
         self.bytes_of = {i: b for b, i in ranks.items()}
         self.digits = list(map(str, range(max(self.bytes_of) + 1)))
         self.merges = None if encode_unit else Merges(ranks)
         self.unit = encode_unit or self._merged
-        self.known = Units(self.unit)
+        self.known = Units(self.unit, most)
         self.pieces: dict[str, list[int]] = {}
 
     def _merged(self, text: str) -> list[int]:

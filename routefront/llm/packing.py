@@ -36,6 +36,9 @@ CAPACITY, END = 1024, 2
 #: Rounds of multiplicative weights at most, the step of the weights, and the share of a length's count that a round covers at most.
 ROUNDS, STEP, SHARE = 700, 1.5, 0.25
 
+#: Units whose ids a worker remembers; workers live on into later stages of a pipeline.
+UNITS = 100_000
+
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task int, nth long"
 
 
@@ -173,7 +176,7 @@ def _packer(ranks_path: str, pattern: str) -> bpe.Encoder:
 
         ranks = bpe.load_ranks(ranks_path)
         own = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-        _packers[ranks_path] = bpe.Encoder(ranks, pattern, own.encode_ordinary)
+        _packers[ranks_path] = bpe.Encoder(ranks, pattern, own.encode_ordinary, UNITS)
     return _packers[ranks_path]
 
 

@@ -199,4 +199,4 @@ def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
         p = _scores(part.column(part.schema.get_field_index("text")), part.num_rows, shared.value)[0]
         return part.filter(pa.array(p < THRESHOLD))
 
-    return map_rows(docs, fn, docs.schema)
+    return map_rows(docs, fn, docs.schema, 1 << 19)
