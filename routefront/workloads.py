@@ -118,9 +118,10 @@ def w02_wide_providers(spark, d):
 
 
 def w03_local_providers(spark, d):
+    """All 702 local tasks, three criteria: what each provider leaves to the search."""
     e, n, grid = _setup(spark, d)
     cs = [Config("tel", "onepass"), Config("tel", "multi"), *(Config("tel", "landmark", landmarks=k) for k in (49, 16)), Config("tel", "none", "label_search", search={"check": "basic"})]
-    return _factor(_summary(run(e, T.mini(spark, d), cs, grid=grid, limit_s=20), n), "paths_assembled", ["label_search"])
+    return _factor(_summary(run(e, T.local(spark, d), cs, grid=grid), n), "paths_assembled", ["label_search"])
 
 
 def hop_counts(edges: DataFrame, tasks: DataFrame) -> DataFrame:
@@ -149,15 +150,16 @@ def w04_short_tasks(spark, d):
     e, n, _ = _setup(spark, d)
     local = T.local(spark, d)
     ranked = local.join(hop_counts(e, local), "task_id").withColumn("r", F.row_number().over(Window.orderBy("hops", "src", "dst"))).where("r <= 290")
-    rows = run(e, ranked, [Config("tel", "onepass"), Config("tel", "multi"), Config("tel", "none", "label_search", search={"check": "basic"})], limit_s=20)
+    rows = run(e, ranked, [Config("tel", "onepass"), Config("tel", "multi"), Config("tel", "none", "label_search", search={"check": "basic"})])
     return _factor(_summary(rows, n).withColumn("total_ms", F.col("bound_ms") + F.col("search_ms")), "total_ms", ["multi"])
 
 
 def w05_visited_whole_query(spark, d):
+    """Visited share of bounds and search together: all wide and all 702 local tasks."""
     e, n, _ = _setup(spark, d)
     none = lambda x: Config(x, "none", "label_search", search={"check": "basic"})
     wide = run(e, T.wide(spark, d), [c for x in ("td", "te") for c in (none(x), Config(x, "pair"), Config(x, "onepass"), Config(x, "twosided"))])
-    local = run(e, T.mini(spark, d), [none("tel"), Config("tel", "multi"), Config("tel", "onepass"), Config("tel", "twosided")], limit_s=20)
+    local = run(e, T.local(spark, d), [none("tel"), Config("tel", "multi"), Config("tel", "onepass"), Config("tel", "twosided")])
     return _summary(wide.withColumn("tasks_of", F.lit("wide")).unionByName(local.withColumn("tasks_of", F.lit("local"))), n, "tasks_of")
 
 
