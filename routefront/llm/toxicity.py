@@ -2,8 +2,9 @@
 
 A sentence's score is a logistic function of hashed words; noisy-or makes the document's, P = 1 - prod(1 - p). With
 softplus(z) = -log(1 - p) the document is 1 - exp(-sum softplus(z)), whose gradient reaches the sentences that explain
-a positive label. The trained weights locate offending sentences. Training reads a bounded sample of labelled documents
-(`sample_docs`, by hash of the id, texts up to `sample_bytes`); scoring reads every whole text, a slice at a time.
+a positive label. The trained weights locate offending sentences. Training reads whole texts of at most `sample_docs`
+labelled documents (by hash of the id); their features are written once, the words' document counts are summed over the
+executors, and only words that are learnt reach the driver. Scoring reads every whole text, a slice at a time.
 
 Cases: a null, empty or wordless text has no sentence and scores 0; with no positive label in the sample every score is
 near 0; labels without a document, null labels and repeated rows are ignored or repeated as they come; an empty table
@@ -19,10 +20,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_bucket, lower_ascii, map_rows, map_texts, text_views, token_bounds, token_hashes
+from .common import id_bucket, lower_ascii, map_rows, map_texts, materialise, text_views, token_bounds, token_hashes
 
-#: Hash buckets of words, labelled documents and bytes a text that training may read, passes over them.
-BUCKETS, SAMPLE_DOCS, SAMPLE_BYTES, EPOCHS = 1 << 17, 4000, 200_000, 80
+#: Hash buckets of words, labelled documents that training may read, passes over them.
+BUCKETS, SAMPLE_DOCS, EPOCHS = 1 << 17, 12000, 80
 #: Bytes of a word's beginnings that are features beside the word, for stems with endings.
 PREFIXES = (4, 5, 6)
 #: Documents of the sample a word must occur in, standard errors taken off its log odds, pull back to those odds, weight of a toxic document.
@@ -79,35 +80,40 @@ def split_documents(words: np.ndarray, first: np.ndarray, doc: np.ndarray, n: in
     return [(words[cut[i] : cut[i + 1]].astype(np.int32), sizes[at[i] : at[i + 1]].astype(np.int32)) for i in range(n)]
 
 
-def train(documents: list[Instances], labels: np.ndarray, epochs: int = EPOCHS, rate: float = 0.05, least: int = LEAST_DOCS, doubt: float = DOUBT) -> Model:
-    """Adam on the noisy-or likelihood, from cautious log odds. labels: 0/1 of each document.
+def cautious_odds(clean: np.ndarray, toxic: np.ndarray, labels: np.ndarray, least: int = LEAST_DOCS, doubt: float = DOUBT) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets that are learnt and the weights they start from. clean, toxic: documents that have a bucket.
 
     A word's weight starts as its log odds between toxic and clean documents, drawn to zero by `doubt` standard errors;
     words without such evidence, or in fewer than `least` documents, are not learnt.
     """
-    w, bias = np.zeros(BUCKETS), -6.0
-    if not documents or not labels.any():
-        return Model(w, -12.0)
-    seen = np.zeros((2, BUCKETS))  # documents that have a word: clean, toxic
-    for (words, _), y in zip(documents, labels.tolist(), strict=True):
-        seen[int(y), np.unique(words)] += 1
-    clean, toxic = seen
     n = labels.sum()
     odds = np.log((toxic + 0.5) / (n + 1)) - np.log((clean + 0.5) / (len(labels) - n + 1))
     w0 = np.sign(odds) * np.maximum(np.abs(odds) - doubt * np.sqrt(1 / (toxic + 0.5) + 1 / (clean + 0.5)), 0)
     used = np.flatnonzero((w0 != 0) & (toxic + clean >= least))
-    place = np.full(BUCKETS, -1, np.int32)
-    place[used] = np.arange(len(used), dtype=np.int32)
-    kept, owner, total_sentences = [], [], 0
-    for i, (words, sizes) in enumerate(documents):
+    return used, w0[used]
+
+
+def learnt_words(documents: list[Instances], place: np.ndarray) -> list[tuple[np.ndarray, np.ndarray, int]]:
+    """Of each document: places of its learnt words, the sentence of each, and the number of sentences. place: -1 for a bucket that is not learnt."""
+    out = []
+    for words, sizes in documents:
         p = place[words]
-        sentence = np.repeat(np.arange(len(sizes), dtype=np.int32), sizes) + total_sentences
-        kept.append((p[p >= 0], sentence[p >= 0]))  # words that are not learnt weigh nothing
-        owner.append(np.full(len(sizes), i, np.int32))
-        total_sentences += len(sizes)
-    words, sentence = (np.concatenate([k[j] for k in kept]) for j in (0, 1))
-    doc = np.concatenate(owner)
-    start = w0[used]
+        sentence = np.repeat(np.arange(len(sizes), dtype=np.int32), sizes)
+        out.append((p[p >= 0], sentence[p >= 0], len(sizes)))  # words that are not learnt weigh nothing
+    return out
+
+
+def descend(documents: list[tuple[np.ndarray, np.ndarray, int]], labels: np.ndarray, used: np.ndarray, start: np.ndarray, epochs: int = EPOCHS, rate: float = 0.05) -> Model:
+    """Adam on the noisy-or likelihood, from cautious log odds. documents: `learnt_words`; labels: 0/1 of each document."""
+    w, bias = np.zeros(BUCKETS), -6.0
+    if not documents or not labels.any():
+        return Model(w, -12.0)
+    count = np.array([n for _, _, n in documents])
+    total_sentences = int(count.sum())
+    begin = np.cumsum(count) - count
+    words = np.concatenate([p for p, _, _ in documents])
+    sentence = np.concatenate([s + b for (_, s, _), b in zip(documents, begin.tolist(), strict=True)])
+    doc = np.repeat(np.arange(len(documents), dtype=np.int32), count)
     wu = start.copy()
     m, v = np.zeros(len(wu) + 1), np.zeros(len(wu) + 1)
     positive = labels == 1
@@ -127,13 +133,32 @@ def train(documents: list[Instances], labels: np.ndarray, epochs: int = EPOCHS,
     return Model(w, float(bias))
 
 
-def fit(docs: DataFrame, labels: DataFrame, learn: Column | None = None, sample_docs: int = SAMPLE_DOCS, sample_bytes: int = SAMPLE_BYTES) -> Model:
+def train(documents: list[Instances], labels: np.ndarray) -> Model:
+    """Model from all words of the documents, at one place."""
+    seen = np.zeros((2, BUCKETS))  # documents that have a word: clean, toxic
+    for (words, _), y in zip(documents, labels.tolist(), strict=True):
+        seen[int(y), np.unique(words)] += 1
+    used, start = cautious_odds(*seen, labels)
+    return descend(learnt_words(documents, _places(used)), labels, used, start)
+
+
+def _places(used: np.ndarray) -> np.ndarray:
+    place = np.full(BUCKETS, -1, np.int32)
+    place[used] = np.arange(len(used), dtype=np.int32)
+    return place
+
+
+def _instances(batch: pa.RecordBatch) -> list[Instances]:
+    return [(np.frombuffer(w.as_buffer(), np.int32), np.frombuffer(s.as_buffer(), np.int32)) for w, s in zip(batch.column("words"), batch.column("sizes"), strict=True)]
+
+
+def fit(docs: DataFrame, labels: DataFrame, learn: Column | None = None, sample_docs: int = SAMPLE_DOCS) -> Model:
     """Model from a bounded sample of the labelled rows for which `learn` holds (a condition on labels' doc_id)."""
     known = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull())
     if learn is not None:
         known = known.where(learn)
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs)
-    texts = docs.select("doc_id", "text").where(F.octet_length("text") <= sample_bytes).join(F.broadcast(chosen), "doc_id")
+    texts = docs.select("doc_id", "text").where(F.col("text").isNotNull()).join(F.broadcast(chosen), "doc_id")
 
     def fn(batch: pa.RecordBatch):
         buf, offs = text_views(batch.column(1))
@@ -144,9 +169,38 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column | None = None, sample_
             ["doc_id", "toxic", "words", "sizes"],
         )
 
-    rows = map_texts(texts, ["doc_id", "text", "toxic"], fn, "doc_id long, toxic int, words binary, sizes binary").collect()  # at most sample_docs labels
-    rows.sort(key=lambda r: r["doc_id"])
-    return train([(np.frombuffer(r["words"], np.int32), np.frombuffer(r["sizes"], np.int32)) for r in rows], np.array([r["toxic"] for r in rows], np.int64))
+    rows = materialise(map_texts(texts, ["doc_id", "text", "toxic"], fn, "doc_id long, toxic int, words binary, sizes binary"), "toxicity-features")
+
+    def count(batches):
+        seen = np.zeros((2, BUCKETS), np.int64)  # documents that have a word: clean, toxic
+        for batch in batches:
+            for (words, _), y in zip(_instances(batch), batch.column("toxic").to_pylist(), strict=True):
+                seen[int(y), np.unique(words)] += 1
+        hit = np.flatnonzero(seen.any(axis=0))
+        yield pa.RecordBatch.from_arrays([pa.array(hit), pa.array(seen[0, hit]), pa.array(seen[1, hit])], ["bucket", "clean", "toxic"])
+
+    sums = rows.mapInArrow(count, "bucket long, clean long, toxic long").groupBy("bucket").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic")).toArrow()  # at most BUCKETS rows
+    seen = np.zeros((2, BUCKETS))
+    for i, side in enumerate(("clean", "toxic")):
+        seen[i, sums.column("bucket").to_numpy()] = sums.column(side).to_numpy()
+    y = np.array([r["toxic"] for r in rows.select("toxic").collect()], np.int64)
+    if not y.any():
+        return train([], y)
+    used, start = cautious_odds(*seen, y)
+    shared = docs.sparkSession.sparkContext.broadcast(_places(used))
+
+    def learnt(batches):
+        for batch in batches:
+            parts = learnt_words(_instances(batch), shared.value)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("doc_id"), batch.column("toxic"), pa.array([p[0].tobytes() for p in parts], pa.binary()), pa.array([p[1].tobytes() for p in parts], pa.binary()), pa.array([p[2] for p in parts], pa.int64())],
+                ["doc_id", "toxic", "words", "sentence", "sentences"],
+            )
+
+    found = rows.mapInArrow(learnt, "doc_id long, toxic int, words binary, sentence binary, sentences long").collect()  # at most sample_docs labels
+    found.sort(key=lambda r: r["doc_id"])
+    documents = [(np.frombuffer(r["words"], np.int32), np.frombuffer(r["sentence"], np.int32), r["sentences"]) for r in found]
+    return descend(documents, np.array([r["toxic"] for r in found], np.int64), used, start)
 
 
 def _scores(batch_text: pa.Array, n: int, model: Model) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:

@@ -137,3 +137,27 @@ def test_held_out_accuracy(spark):
     docs = spark.read.parquet(f"{d}/documents.parquet")
     got = language_id.judge(docs).join(docs.select("doc_id", "lang"), "doc_id").where("held_out")
     assert got.where(F.col("lang") == F.col("lang_pred")).count() > 0.97 * got.count()
+
+
+def test_toxicity_learns_from_the_stated_number_of_labels(spark):
+    """A rare toxic word whose evidence is spread over 9000 labels, and one that only stands in texts of over 200,000 bytes."""
+    rare = {i for i in range(9000) if i % 750 == 1}
+    text = lambda i: f"plain words number w{i % 50} here" + (" zlorbish" if i in rare else "")
+    long = [(9000 + i, "quiet filler words " * 11_000 + ("Grumfable now." if i % 2 else "")) for i in range(24)]
+    docs = spark.createDataFrame([*((i, text(i)) for i in range(9000)), *long], "doc_id long, text string")
+    labels = spark.createDataFrame([*((i, int(i in rare)) for i in range(9000)), *((9000 + i, i % 2) for i in range(24))], "doc_id long, toxic int")
+    model = toxicity.fit(docs, labels)
+    asked = spark.createDataFrame([(1, "words with zlorbish here"), (2, "Grumfable now."), (3, "plain words here")], "doc_id long, text string")
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(asked, model).collect()}
+    assert got[1] > 0.7 and got[2] > 0.7 and got[3] < 0.1
+
+
+def test_toxicity_model_is_the_one_of_all_words(spark):
+    docs = spark.createDataFrame([(i, f"some text t{i % 7}. " + ("vile thing" if i % 3 == 0 else "nice thing")) for i in range(60)] + [(60, "")], "doc_id long, text string")
+    labels = docs.select("doc_id", (F.col("doc_id") % 3 == 0).cast("int").alias("toxic"))
+    model = toxicity.fit(docs, labels)
+    texts = [r["text"] for r in docs.orderBy("doc_id").collect()]
+    raw = [t.encode() for t in texts]
+    words, first, doc, _ = toxicity.features(np.frombuffer(b"".join(raw), np.uint8), np.append(0, np.cumsum([len(t) for t in raw])))
+    want = toxicity.train(toxicity.split_documents(words, first, doc, len(texts)), np.array([int(i % 3 == 0) for i in range(61)]))
+    assert np.array_equal(model.weights, want.weights) and model.bias == want.bias and np.any(want.weights)
