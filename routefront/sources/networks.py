@@ -7,6 +7,9 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -86,16 +89,57 @@ def part_flow(spark: SparkSession, sf_dir: str, fan: int = 3) -> DataFrame:
     return rows.withColumn("rank", F.row_number().over(cheap)).where(F.col("rank") <= fan).drop("rank")
 
 
-def vector_knn(spark: SparkSession, sf_dir: str, k: int = 6, limit: int = 5000) -> DataFrame:
-    """Nearest neighbours of embeddings by L2; label change and hop as further costs. Beyond `limit` vectors every fiftieth is a query against all, in blocks."""
+def _nearest(pairs, k: int):
+    """Of every pair of blocks the k nearest of each vector of the first one, as `vector_knn` orders them."""
+    for pair in pairs:
+        for row in range(pair.num_rows):
+            (sa, la, a), (sb, lb, b) = ((x.field("id"), x.field("label"), _matrix(x.field("embedding"))) for x in (pair.column(c)[row].values for c in ("a", "b")))
+            ids, others = sa.to_numpy(), sb.to_numpy()
+            out = []
+            for at in range(0, len(ids), 256):  # rows at once: their distances to a whole block are in memory
+                x = a[at : at + 256]
+                own = ids[at : at + 256]
+                norms = (x * x).sum(1)[:, None] + (b * b).sum(1)
+                rough = norms - 2 * x @ b.T
+                rough[own[:, None] == others] = np.inf
+                kth = np.partition(rough, min(k, len(others)) - 1, axis=1)[:, min(k, len(others)) - 1]
+                # all that can round to the k-th distance or less: a unit of c_l2 more, and the error of the rough distances
+                error = 1e-12 * norms.max() + 1e-300
+                i, j = np.nonzero(rough <= ((np.sqrt(np.maximum(kth, 0) + error) + 1e-4) ** 2 + error)[:, None])
+                near = own[i] != others[j]
+                i, j = i[near], j[near]
+                total = np.zeros(len(i))
+                for axis in range(a.shape[1]):  # summed in the order of the coordinates
+                    total += (x[i, axis] - b[j, axis]) ** 2
+                exact = np.sqrt(total) * 10000
+                cost = (np.floor(exact) + (exact - np.floor(exact) >= 0.5)).astype(np.int64)
+                order = np.lexsort((others[j], cost, i))
+                i, j, cost = i[order], j[order], cost[order]
+                first = np.searchsorted(i, i)
+                kept = np.arange(len(i)) - first < k
+                out.append((i[kept] + at, j[kept], cost[kept]))
+            i, j, cost = (np.concatenate(x) for x in zip(*out, strict=True))
+            change = pc.cast(pc.not_equal(la.take(pa.array(i)), lb.take(pa.array(j))), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(ids[i]), pa.array(others[j]), pa.array(cost), change], ["src", "dst", "c_l2", "c_change"])
+
+
+def _matrix(embedding: pa.ListArray) -> np.ndarray:
+    return embedding.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(embedding), -1)
+
+
+def vector_knn(spark: SparkSession, sf_dir: str, k: int = 6, block: int = 4096) -> DataFrame:
+    """Nearest neighbours by L2 of every embedding, in pairs of blocks of about `block` vectors; label change and hop as further costs.
+
+    The embeddings have equal lengths and are not null.
+    """
     v = table(spark, sf_dir, "embeddings")
-    asked = v.where(F.col("vec_id") % 50 == 0) if v.count() > limit else v
-    a = asked.select(F.col("vec_id").alias("src"), F.col("embedding").alias("ea"), F.col("label").alias("la"))
-    b = v.select(F.col("vec_id").alias("dst"), F.col("embedding").alias("eb"), F.col("label").alias("lb"))
-    sq = F.aggregate(F.zip_with("ea", "eb", lambda x, y: (x.cast("double") - y.cast("double")) * (x.cast("double") - y.cast("double"))), F.lit(0.0), lambda s, x: s + x)
-    d = (F.broadcast(a) if asked.count() <= limit else a).join(b, F.col("src") != F.col("dst")).select("src", "dst", F.round(F.sqrt(sq) * 10000).cast("long").alias("c_l2"), (F.col("la") != F.col("lb")).cast("long").alias("c_change"), F.lit(1).cast("long").alias("c_hop"))
+    blocks = max(1, math.ceil(v.count() / block))
+    packed = v.groupBy(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("block")).agg(F.collect_list(F.struct(F.col("vec_id").alias("id"), "label", "embedding")).alias("rows"))
+    both = lambda mine, other, name: packed.select(F.col("block").alias(mine), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias(other), F.col("rows").alias(name))
+    pairs = both("ba", "bb", "a").join(both("bb", "ba", "b"), ["ba", "bb"]).select("a", "b")
+    d = pairs.mapInArrow(lambda batches: _nearest(batches, k), "src long, dst long, c_l2 long, c_change long")
     near = Window.partitionBy("src").orderBy("c_l2", "dst")
-    return d.withColumn("rank", F.row_number().over(near)).where(F.col("rank") <= k).drop("rank")
+    return d.withColumn("c_hop", F.lit(1).cast("long")).withColumn("rank", F.row_number().over(near)).where(F.col("rank") <= k).drop("rank")
 
 
 def event_flow(spark: SparkSession, sf_dir: str) -> DataFrame:
