@@ -12,10 +12,11 @@ beside a bucket's largest class, are compared with all members, block by block,
 samples agree often enough and whose classes are still apart are computed, so a task returns links and no pairs. A bucket
 with very many outsiders first takes further leaders, from its smallest classes. Nothing is capped.
 
-Document frequencies count every document: each task counts its shingles in groups of documents and sends those in at
-least `REPORT` of a group, so the sum falls short by less than that share. Only shingles in more than `COMMON` of
-all documents weigh less, and there are at most (mean shingles a document) / COMMON of them, which bounds their broadcast
-at any size. (A large group of near copies is itself a reason for frequent shingles; a lower bound would tear it apart.)
+Document frequencies of common shingles count every document. Each task first counts its shingles in groups of documents
+and sends those in at least `REPORT` of a group; a group that does not send a shingle has it in less than that share, which
+bounds its frequency from above. Shingles that may be in more than `COMMON` of all documents, at most (mean shingles a
+document) / (COMMON - REPORT), are then counted in every document. Only those in more than `COMMON` weigh less; all others
+have the same weight, however frequent. (A large group of near copies is itself a reason for frequent shingles; a lower bound would tear it apart.)
 
 Cases: null, empty and wordless texts have equal (no) words and form one class; ties and repeated rows are members
 like others, and one row of a class, with the smallest doc_id, is kept; a null doc_id comes after all others; an empty
@@ -96,9 +97,8 @@ def common_shingles(docs: DataFrame) -> Weights:
 
         def send():
             k, c = np.unique(np.concatenate(keys), return_counts=True)
-            hit = c >= max(1, REPORT * n)
-            hit &= c > 1 if n > 1 else True
-            return pa.RecordBatch.from_arrays([pa.array(k[hit].view(np.int64)), pa.array(c[hit])], ["shingle", "n"])
+            hit = c >= REPORT * n
+            return pa.RecordBatch.from_arrays([pa.array(k[hit].view(np.int64)), pa.array(c[hit]), pa.array(np.full(hit.sum(), n))], ["shingle", "n", "docs"])
 
         for batch in batches:
             for part in slices(batch, "text", 2 << 20):
@@ -111,10 +111,25 @@ def common_shingles(docs: DataFrame) -> Weights:
             yield send()
 
     total = docs.count()
-    least = COMMON * total
-    sums = docs.select("text").mapInArrow(run, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n"))
-    rows = sums.where(F.col("n") > F.lit(max(least, 1.0))).collect()  # at most mean shingles / COMMON
-    df = np.array([r["n"] for r in rows], float) / max(1, total)
+    least = max(COMMON * total, 1.0)
+    sums = docs.select("text").mapInArrow(run, "shingle long, n long, docs long").groupBy("shingle").agg(F.sum("n").alias("n"), F.sum("docs").alias("docs"))
+    likely = sums.where(F.col("n") + REPORT * (total - F.col("docs")) > F.lit(least)).select("shingle").toArrow()  # at most mean shingles / (COMMON - REPORT)
+    if not likely.num_rows:
+        return Weights(np.zeros(0, np.uint64), np.zeros(0))
+    shared = docs.sparkSession.sparkContext.broadcast(np.sort(likely.column("shingle").to_numpy().view(np.uint64)))
+
+    def count(batches):
+        keys = shared.value
+        n = np.zeros(len(keys), np.int64)
+        for batch in batches:
+            for part in slices(batch, "text", 2 << 20):
+                found = shingles(*text_views(part.column(0)))[1]
+                at = np.minimum(np.searchsorted(keys, found), len(keys) - 1)
+                n += np.bincount(at[keys[at] == found], minlength=len(keys))
+        yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(n)], ["shingle", "n"])
+
+    rows = docs.select("text").mapInArrow(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") > F.lit(least)).collect()  # at most mean shingles / COMMON
+    df = np.array([r["n"] for r in rows], float) / total
     return Weights(np.array([r["shingle"] for r in rows], np.int64).view(np.uint64), np.log1p(1 / df) / np.log1p(1 / COMMON) if len(rows) else df)
 
 

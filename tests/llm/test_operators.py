@@ -161,3 +161,17 @@ def test_toxicity_model_is_the_one_of_all_words(spark):
     words, first, doc, _ = toxicity.features(np.frombuffer(b"".join(raw), np.uint8), np.append(0, np.cumsum([len(t) for t in raw])))
     want = toxicity.train(toxicity.split_documents(words, first, doc, len(texts)), np.array([int(i % 3 == 0) for i in range(61)]))
     assert np.array_equal(model.weights, want.weights) and model.bias == want.bias and np.any(want.weights)
+
+
+@pytest.mark.parametrize("parts", [1, 30])
+def test_common_shingles_count_every_document(spark, parts):
+    """Frequencies by brute force, with two documents a task as with all in one."""
+    same, often, rare = ("all of them say this", "every second one says that", "every fourth one says so")
+    texts = [" ".join([f"w{i}x{j}" for j in range(6)] + [same] + ([often] if i % 2 else []) + ([rare] if i % 4 == 0 else [])) for i in range(60)]
+    docs = spark.createDataFrame(spark.sparkContext.parallelize([(i, t) for i, t in enumerate(texts)], parts), "doc_id long, text string")
+    found = Counter()
+    for t in texts:
+        found.update(set(near_dedup.shingles(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t)]))[1].tolist()))
+    want = {k: np.log1p(60 / n) / np.log1p(1 / near_dedup.COMMON) for k, n in found.items() if n > near_dedup.COMMON * 60}
+    got = near_dedup.common_shingles(docs)
+    assert want and dict(zip(got.keys.tolist(), got.values.tolist())) == pytest.approx(want)
