@@ -2,24 +2,28 @@
 
 A configuration is a multiset of lengths that fits a sequence. The linear program covers every length's count with as
 few configurations as it can; its dual prices come from multiplicative weights, and the best configuration for given
-prices from an unbounded knapsack solved by dynamic programming. The fractional solution is rounded down, and the
-pieces that rounding leaves over go by best fit into the slack of the chosen configurations and into new ones.
-Everything on the driver is as large as the histogram (at most `capacity` lengths), never as the data.
+prices from an unbounded knapsack solved by dynamic programming. The weights run until every length is covered, so the
+fractional solution is a cover, and any prices divided by their best configuration bound the optimum from below
+(`Cover.bound`). Rounding keeps whole runs of the configurations that the earlier part of the cover chose and that leave
+next to nothing free; the pieces beyond go by best fit into their slack and into new sequences. How much of the cover is
+kept is settled by the number of sequences. Everything on the driver is as large as the histogram (at most
+`capacity` lengths), never as the data.
 
 Pieces find their place without a sort: each map task numbers its pieces within a length, a prefix sum over the
 tasks' counts makes that a number in the whole table, and a table of ranges (a few per configuration) turns it into
 sequence and offset.
 
 Cases: a null or empty text is one piece that holds the end id alone; a longer document is cut into whole-capacity
-pieces of which the first is the shorter one; repeated rows are packed each; an empty table gives an empty result;
-only doc_id and text are read, extra columns are ignored.
+pieces of which the first is the shorter one; repeated rows and null doc_ids are packed like others; an empty table
+gives an empty result; only doc_id and text are read, extra columns are ignored.
 """
 
 from __future__ import annotations
 
+import os
 import zlib
-from array import array
 from collections import defaultdict
+from collections.abc import Callable
 from dataclasses import dataclass
 from itertools import chain
 
@@ -30,67 +34,97 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import bpe
-from .common import map_texts, materialise
+from .common import materialise, slices
 
 CAPACITY, END = 1024, 2
-#: Rounds of multiplicative weights at most, the step of the weights, and the share of a length's count that a round covers at most.
-ROUNDS, STEP, SHARE = 700, 1.5, 0.25
-
-#: Units whose ids a worker remembers; workers live on into later stages of a pipeline.
-UNITS = 100_000
+#: Exponent of the weights, the share of a length's count that a round covers at most, and how far below the best price a configuration that runs in a round may be.
+STEP, SHARE, NEAR = 1.0, 0.05, 0.002
+#: Shares of the tokens covered up to which the cover's configurations may be kept, and how full those must be.
+KEPT, FULL = (0.9, 0.8, 0.7, 0.6, 0.5, 0.4, 0.3, 0.2, 0.1), 0.995
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task int, nth long"
 
 
-def knapsack(lengths: np.ndarray, prices: np.ndarray, capacity: int) -> np.ndarray:
-    """Copies of each length in the configuration of greatest price (unbounded knapsack, by capacity)."""
+def knapsack(lengths: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
+    """Greatest price of a configuration by capacity (unbounded knapsack), and the place of the length it takes there, -1 for none. lengths: ascending."""
     best = np.zeros(capacity + 1)
     take = np.full(capacity + 1, -1)
-    order = np.argsort(lengths)
-    lens, cost = lengths[order], prices[order]
-    upto = np.searchsorted(lens, np.arange(capacity + 1), "right")
+    upto = np.searchsorted(lengths, np.arange(capacity + 1), "right")
     for c in range(1, capacity + 1):
         best[c] = best[c - 1]
         if k := upto[c]:
-            value = best[c - lens[:k]] + cost[:k]
+            value = best[c - lengths[:k]] + prices[:k]
             j = int(value.argmax())
             if value[j] > best[c]:
                 best[c], take[c] = value[j], j
-    copies = np.zeros(len(lengths), np.int64)
-    c = capacity
+    return best, take
+
+
+def configuration(lengths: np.ndarray, take: np.ndarray, capacity: int, first: int) -> dict[int, int]:
+    """Copies by place of a length in the best configuration that holds the length at place `first`."""
+    copies = {first: 1}
+    c = int(capacity - lengths[first])
     while c > 0:
-        if take[c] < 0:
+        if (j := int(take[c])) < 0:
             c -= 1
         else:
-            copies[order[take[c]]] += 1
-            c -= lens[take[c]]
+            copies[j] = copies.get(j, 0) + 1
+            c -= int(lengths[j])
     return copies
 
 
-def configuration_lp(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int = ROUNDS, step: float = STEP, share: float = SHARE) -> list[tuple[np.ndarray, float]]:
-    """Configurations and their fractional numbers.
+Config = tuple[tuple[int, int], ...]  # (length, copies), ascending
+
+
+@dataclass
+class Cover:
+    """A fractional solution: runs of configurations, the number of sequences, a lower bound of that number, and the runs made before each of `KEPT`."""
+
+    runs: dict[Config, float]
+    value: float
+    bound: float
+    early: dict[float, dict[Config, float]]
+
+
+def configuration_lp(lengths: np.ndarray, counts: np.ndarray, capacity: int, step: float = STEP, share: float = SHARE, near: float = NEAR) -> Cover:
+    """Configurations and their fractional numbers that cover every length's count.
 
-    A length's price is its share of a sequence times its weight, the dual solution of a packing without waste to
-    start from. Every round runs the dearest configuration until it has covered `share` of the scarcest of its lengths,
-    and lowers the weight of each length by the share of its count that was covered. A covered length has no price.
+    A length's price is its share of a sequence, the dual solution of a packing without waste, times its weight, which
+    falls exponentially with the share of its count that is covered; a covered length has no price. A round prices
+    all configurations at once and runs, of those within `near` of the best, one for each length, until the scarcest of
+    its lengths is covered by `share` more. Every round covers some length by `share` or to the end, so there are at most
+    len(lengths) / share of them.
     """
     cover = np.zeros(len(lengths))
-    weights = np.ones(len(lengths))
-    out: dict[bytes, list] = {}
-    for _ in range(rounds):
-        open_ = np.flatnonzero(cover < 1 - 1e-9)
-        if not len(open_):
-            break
-        copies = knapsack(lengths[open_], lengths[open_] / capacity * weights[open_], capacity)
-        part, copies = open_[copies > 0], copies[copies > 0]
-        run = min(share * float((counts[part] / copies).min()), float(((1 - cover[part]) * counts[part] / copies).min()))
-        gain = copies * run / counts[part]
-        cover[part] += gain
-        weights[part] *= np.exp(-step * gain)
-        full = np.zeros(len(lengths), np.int64)
-        full[part] = copies
-        out.setdefault(full.tobytes(), [full, 0.0])[1] += run
-    return [(f, x) for f, x in out.values()]
+    total = float((lengths * counts).sum())
+    out = Cover({}, 0.0, total / capacity, {})
+    while len(open_ := np.flatnonzero(cover < 1 - 1e-9)):
+        done = float((cover * lengths * counts).sum()) / total
+        out.early.update((k, dict(out.runs)) for k in KEPT if done >= k and k not in out.early)
+        n, c = lengths[open_], cover[open_]
+        prices = n / capacity * np.exp(-step * (c - c.min()))
+        best, take = knapsack(n, prices, capacity)
+        out.bound = max(out.bound, float((prices * counts[open_]).sum() / best[capacity]))
+        value = prices + best[capacity - n]
+        gained = np.zeros(len(n))
+        for i in np.argsort(-value, kind="stable").tolist():
+            if value[i] < best[capacity] * (1 - near):
+                break
+            if gained[i] >= share:
+                continue
+            copies = configuration(n, take, capacity, i)
+            at, k = np.fromiter(copies, np.int64), np.fromiter(copies.values(), float)
+            of = counts[open_[at]]
+            run = float((np.minimum(share, 1 - cover[open_[at]]) * of / k).min())
+            if run <= 0:
+                continue
+            gain = k * run / of
+            cover[open_[at]] += gain
+            gained[at] += gain
+            key = tuple(sorted(zip(n[at].tolist(), k.astype(int).tolist(), strict=True)))
+            out.runs[key] = out.runs.get(key, 0.0) + run
+            out.value += run
+    return out
 
 
 @dataclass
@@ -138,21 +172,33 @@ def best_fit(groups: list[tuple[dict[int, int], int]], left: dict[int, int], cap
     return [x for g in room.values() for x in g if x[0]]
 
 
-def plan(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = ROUNDS) -> Plan:
-    """Linear program, rounding, best fit; counts stay whole throughout."""
-    lengths = np.array(sorted(histogram), np.int64)
-    counts = np.array([histogram[int(n)] for n in lengths], np.int64)
-    groups: list[tuple[dict[int, int], int]] = []
-    left = dict(zip(lengths.tolist(), counts.tolist(), strict=True))
-    if len(lengths):
-        for copies, x in sorted(configuration_lp(lengths, counts, capacity, rounds), key=lambda c: -c[1]):
-            config = {int(n): int(k) for n, k in zip(lengths, copies, strict=True) if k}
-            times = min([int(np.floor(x + 1e-6)), *(left[n] // k for n, k in config.items())])
+def rounded(runs: dict[Config, float], histogram: dict[int, int], capacity: int, full: float = FULL) -> tuple[list[tuple[dict[int, int], int]], dict[int, int]]:
+    """Whole runs of the configurations that leave next to nothing free, and the pieces beyond them by length."""
+    left, groups = dict(histogram), []
+    for key, x in sorted(runs.items(), key=lambda r: (-r[1], r[0])):
+        if sum(n * k for n, k in key) >= full * capacity:
+            times = min(int(x + 1e-6), *(left[n] // k for n, k in key))
             if times > 0:
-                groups.append((config, times))
-                for n, k in config.items():
+                groups.append((dict(key), times))
+                for n, k in key:
                     left[n] -= k * times
-    groups = best_fit(groups, {n: c for n, c in left.items() if c}, capacity)
+    return groups, {n: c for n, c in left.items() if c}
+
+
+def choose(histogram: dict[int, int], capacity: int = CAPACITY) -> tuple[list[tuple[dict[int, int], int]], Cover]:
+    """Sequences by kind, and the linear program's cover: of the parts of it that may be kept, the one that ends in the fewest sequences."""
+    lengths = np.array(sorted(histogram), np.int64)
+    cover = configuration_lp(lengths, np.array([histogram[int(n)] for n in lengths], np.int64), capacity)
+    tried = []
+    for k in KEPT:
+        groups, left = rounded(cover.early.get(k, cover.runs), histogram, capacity)
+        tried.append(best_fit(groups, left, capacity))
+    return min(tried, key=lambda groups: sum(times for _, times in groups)), cover  # the first of equals keeps most
+
+
+def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> Plan:
+    """Linear program, rounding, best fit; counts stay whole throughout."""
+    groups = choose(histogram, capacity)[0] if histogram else []
     low: dict[int, int] = defaultdict(int)
     ranges: dict[int, list] = defaultdict(list)
     base = 0
@@ -166,55 +212,85 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY, rounds: int = ROUN
     return Plan(capacity, base, {n: np.array(r, np.int64) for n, r in ranges.items()})
 
 
-_packers: dict[str, bpe.Encoder] = {}
+#: Units in a string that is encoded at once; a line feed parts them, which is a pre-token and an id of its own before a space.
+JOINED = 500
+
 
+def by_tokenizers(path: str) -> Callable[[list[str]], list[bytes]]:
+    """Ids of texts by `tokenizers`. Units that begin with a space and hold no line feed are encoded many at a time."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(path)
+    tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+    ids = lambda texts: [np.array(e.ids, "<u4") for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    line = int(ids(["\n"])[0][0])
+
+    def resolve(texts: list[str]) -> list[bytes]:
+        out: list[bytes] = [b""] * len(texts)
+        plain = [i for i, t in enumerate(texts) if t[:1] == " " and "\n" not in t and t[1:2].strip()]
+        for a in range(0, len(plain), JOINED):
+            part = plain[a : a + JOINED]
+            got = ids(["\n".join(texts[i] for i in part) + "\n "])[0]
+            ends = np.flatnonzero(got == line).tolist()
+            raw, begin = got.tobytes(), 0
+            for i, end in zip(part, ends, strict=True):
+                out[i] = raw[4 * begin : 4 * end]
+                begin = end + 1
+        other = sorted(set(range(len(texts))).difference(plain))
+        for a in range(0, len(other), JOINED):
+            part = other[a : a + JOINED]
+            for i, got in zip(part, ids([texts[i] for i in part]), strict=True):
+                out[i] = got.tobytes()
+        return out
+
+    return resolve
+
+
+_packers: dict[str, bpe.Encoder] = {}
 
-def _packer(ranks_path: str, pattern: str) -> bpe.Encoder:
-    """Ids of distinct units by tiktoken, several times faster than `tokenizers` and equal to it (tested)."""
-    if ranks_path not in _packers:
-        import tiktoken
 
-        ranks = bpe.load_ranks(ranks_path)
-        own = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-        _packers[ranks_path] = bpe.Encoder(ranks, pattern, own.encode_ordinary, UNITS)
-    return _packers[ranks_path]
+def _packer(path: str) -> bpe.Encoder:
+    if path not in _packers:
+        _packers[path] = bpe.Encoder(by_tokenizers(path))
+    return _packers[path]
 
 
-def pieces(docs: DataFrame, ranks_path: str, pattern: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
-    """One row per piece, with the task that made it and its number there among pieces of its length."""
-    small = docs.select("doc_id", "text")
+def pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
+    """One row per piece, with the task that made it and its number there among pieces of its length. vocabulary: a file for `tokenizers`."""
+    names = [k.split()[0] for k in PIECES.split(", ")]
+    kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64())
+    last = end.to_bytes(4, "little")
 
     def run(batches):
-        enc = _packer(ranks_path, pattern)
+        enc = _packer(vocabulary)
         task = TaskContext.get().partitionId()
         seen: dict[int, int] = defaultdict(int)
-        for batch in batches:
-            out: dict[str, list] = {k.split()[0]: [] for k in PIECES.split(", ")}
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                ids = array("I", enc.encode(text.as_py() or ""))
-                ids.append(end)
-                n, raw = len(ids), ids.tobytes()
+        for part in (p for batch in batches for p in slices(batch, "text", 2 << 20)):
+            cols: list[list] = [[] for _ in names]
+            for doc, raw in zip(part.column(0).to_pylist(), enc.encode_all([t or "" for t in part.column(1).to_pylist()]), strict=True):
+                raw += last
+                n = len(raw) // 4
                 first = n - (n - 1) // capacity * capacity
                 for piece, (a, b) in enumerate(zip(chain([0], range(first, n, capacity)), range(first, n + 1, capacity), strict=True)):
-                    for key, value in zip(out, (doc, piece, a, b - a, zlib.crc32(raw[4 * a : 4 * b]), task, seen[b - a]), strict=True):
-                        out[key].append(value)
+                    for col, value in zip(cols, (doc, piece, a, b - a, zlib.crc32(raw[4 * a : 4 * b]), task, seen[b - a]), strict=True):
+                        col.append(value)
                     seen[b - a] += 1
-            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(out.values(), kinds, strict=True)], list(out))
+            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(cols, kinds, strict=True)], names)
 
-    return small.mapInArrow(run, PIECES)
+    return docs.select("doc_id", "text").mapInArrow(run, PIECES)
 
 
-def pack(docs: DataFrame, ranks_path: str, pattern: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
+def pack(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     spark = docs.sparkSession
-    made = materialise(pieces(docs, ranks_path, pattern, capacity, end), "pieces")
+    made = materialise(pieces(docs, vocabulary, capacity, end), "pieces")
     counts = materialise(made.groupBy("task", "length").agg(F.count(F.lit(1)).alias("n")), "counts")
     histogram = {r["length"]: r["n"] for r in counts.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `capacity` rows
     layout = spark.sparkContext.broadcast(plan(histogram, capacity))
     before = Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.select("task", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
-    ranked = made.join(starts, ["task", "length"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("before") + F.col("nth")).alias("rank"))
+    ranked = made.join(starts.hint("merge"), ["task", "length"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("before") + F.col("nth")).alias("rank"))
 
     def place(batches):
         for b in batches:
