@@ -10,9 +10,8 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 #: White space of every contract here: space and \x09-\x0D. bytes.split() splits on exactly these.
 SPACE = np.zeros(256, bool)
@@ -53,6 +52,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def words_hash(text: Column) -> Column:
+    """64-bit hash of a text's words (null: of none), whatever white space parts them."""
+    return F.xxhash64(F.trim(F.regexp_replace(F.coalesce(text, F.lit("")), "[\\x20\\x09-\\x0D]+", " ")))
+
+
 def id_bucket(col: str, modulus: int):
     """crc32 of doc_id as text, modulo modulus (null id: null)."""
     return F.crc32(F.col(col).cast("string").cast("binary")) % F.lit(modulus)
@@ -96,25 +100,15 @@ def map_texts(df: DataFrame, columns: list, fn: Callable[[pa.RecordBatch], Itera
     return df.select(*columns).mapInArrow(run, schema)
 
 
-def map_rows(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: T.StructType, limit: int = 1 << 20, text: str = "text") -> DataFrame:
-    """fn over slices of whole rows, all columns of df included; memory is bounded by limit and the longest row."""
-
-    def run(batches):
-        for batch in batches:
-            for part in slices(batch, text, limit):
-                yield fn(part)
-
-    return df.mapInArrow(run, schema)
-
-
-def add_long(df: DataFrame, name: str, of: Callable[[str | None], int]) -> DataFrame:
-    """df with a column of whole numbers computed from each text."""
+def text_column(fn: Callable[[pa.Array], pa.Array], kind: str, limit: int = 1 << 19):
+    """A function of a text column: fn over slices of about limit bytes. Only the texts reach Python, the rest of a row stays where it is."""
 
-    def fn(part: pa.RecordBatch) -> pa.RecordBatch:
-        made = pa.array([of(t) for t in part.column(part.schema.get_field_index("text")).to_pylist()], pa.int64())
-        return pa.RecordBatch.from_arrays([*part.columns, made], [*part.schema.names, name])
+    @F.arrow_udf(kind)
+    def of(texts: pa.Array) -> pa.Array:
+        batch = pa.RecordBatch.from_arrays([texts], ["text"])
+        return pa.concat_arrays([fn(part.column(0)) for part in slices(batch, "text", limit)] or [fn(texts)])
 
-    return map_rows(df, fn, T.StructType([*df.schema.fields, T.StructField(name, T.LongType())]))
+    return of
 
 
 def token_bounds(buf: np.ndarray, offs: np.ndarray, space: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

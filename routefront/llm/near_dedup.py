@@ -26,14 +26,12 @@ table gives an empty result; only doc_id and text are read, and `deduplicate` pa
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import add_long, map_texts, materialise, mix64, slices, text_views, token_bounds, token_hashes
+from .common import map_texts, materialise, mix64, slices, text_views, token_bounds, token_hashes, words_hash
 
 SHINGLE, SIMILAR = 5, 0.8
 BANDS, ROWS = 10, 3
@@ -158,12 +156,6 @@ def sample(owner: np.ndarray, shingle: np.ndarray, weight: np.ndarray) -> tuple[
     return owner[begin], out
 
 
-def node_of(raw: bytes) -> int:
-    """Signed 64-bit hash of a text's words."""
-    h = xxhash.xxh3_64_intdigest(b" ".join(raw.split()))
-    return h - (1 << 64) if h >> 63 else h
-
-
 SIGNED = "row long, doc_id long, node long, bands array<long>, prints binary"
 
 
@@ -174,12 +166,11 @@ def signatures(docs: DataFrame, weights) -> DataFrame:
         task, n = TaskContext.get().partitionId() << 33, 0
         for batch in batches:
             for part in slices(batch, "text", 1 << 20):
-                texts = part.column(1).to_pylist()
-                buf, offs = text_views(part.column(1))
-                owner, key, count = shingles(buf, offs)
+                size = part.num_rows
+                owner, key, count = shingles(*text_views(part.column(1)))
                 docs_, s = sample(owner, key, weights.value.of(key, count))
-                bands: list = [None] * len(texts)
-                prints: list = [None] * len(texts)
+                bands: list = [None] * size
+                prints: list = [None] * size
                 keys = np.zeros((len(docs_), BANDS), np.uint64)
                 for b in range(BANDS):
                     for i in range(ROWS):
@@ -187,25 +178,24 @@ def signatures(docs: DataFrame, weights) -> DataFrame:
                 short = (s & np.uint64(0xFFFF)).astype(np.uint16)
                 for j, d in enumerate(docs_.tolist()):
                     bands[d], prints[d] = keys[j].view(np.int64), short[j].tobytes()
-                rows = np.arange(n, n + len(texts)) + task
-                n += len(texts)
-                nodes = [node_of((t or "").encode()) for t in texts]
-                yield pa.RecordBatch.from_arrays([pa.array(rows), part.column(0), pa.array(nodes, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(prints, pa.binary())], ["row", "doc_id", "node", "bands", "prints"])
+                rows = np.arange(n, n + size) + task
+                n += size
+                yield pa.RecordBatch.from_arrays([pa.array(rows), part.column(0), part.column(2), pa.array(bands, pa.list_(pa.int64())), pa.array(prints, pa.binary())], ["row", "doc_id", "node", "bands", "prints"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, SIGNED)
+    return docs.select("doc_id", "text", words_hash(F.col("text")).alias("node")).mapInArrow(run, SIGNED)
 
 
-def agreeing(a: pd.Series, b: pd.Series) -> np.ndarray:
-    x = np.frombuffer(b"".join(a), np.uint16).reshape(len(a), SAMPLES)
-    return (x == np.frombuffer(b"".join(b), np.uint16).reshape(len(b), SAMPLES)).sum(1)
+def print_rows(prints: pa.Array) -> np.ndarray:
+    """Samples of each node, a row each."""
+    return np.frombuffer(b"".join(prints.to_pylist()), np.uint16).reshape(len(prints), SAMPLES)
 
 
 def _likely(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
     """Pairs (a, b) whose samples agree often enough."""
 
-    @F.pandas_udf("int")
-    def agree(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series(agreeing(a, b).astype(np.int32)) if len(a) else pd.Series([], dtype=np.int32)
+    @F.arrow_udf("int")
+    def agree(a: pa.Array, b: pa.Array) -> pa.Array:
+        return pa.array((print_rows(a) == print_rows(b)).sum(1), pa.int32())
 
     side = lambda c: nodes.select(F.col("node").alias(c), F.col("prints").alias(f"p{c}"))
     return pairs.join(side("a"), "a").join(side("b"), "b").where(agree("pa", "pb") >= LEAST_AGREE).select("a", "b")
@@ -274,14 +264,14 @@ def similarity(ka: np.ndarray, wa: np.ndarray, kb: np.ndarray, wb: np.ndarray) -
 def _settled(rows: DataFrame) -> DataFrame:
     """Links inside (bucket, block): each outsider against every member of another class, until it is in that class."""
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("node")
-        x = np.frombuffer(b"".join(pdf["prints"]), np.uint16).reshape(len(pdf), SAMPLES)
-        node, out = pdf["node"].to_numpy(), pdf["outside"].to_numpy()
-        first_block = bool((pdf["block"] == 0).all())
-        keys = [np.frombuffer(k, np.uint64) for k in pdf["keys"]]
-        w = [np.frombuffer(k, np.float64) for k in pdf["weights"]]
-        codes, cls = np.unique(pdf["class"].to_numpy(), return_inverse=True)
+    def run(group: pa.Table) -> pa.Table:
+        group = group.sort_by("node").combine_chunks()
+        x = print_rows(group.column("prints"))
+        node, out = group.column("node").to_numpy(), group.column("outside").to_numpy()
+        first_block = not group.column("block").to_numpy().any()
+        keys = [np.frombuffer(k.as_buffer(), np.uint64) for k in group.column("keys")]
+        w = [np.frombuffer(k.as_buffer(), np.float64) for k in group.column("weights")]
+        codes, cls = np.unique(group.column("class").to_numpy(), return_inverse=True)
         parent = list(range(len(codes)))
 
         def find(c: int) -> int:
@@ -300,9 +290,9 @@ def _settled(rows: DataFrame) -> DataFrame:
                 if p != q and similarity(keys[i], w[i], keys[j], w[j]) >= SIMILAR:
                     parent[q] = p
                     links.append((node[i], node[j]))
-        return pd.DataFrame(links, columns=["a", "b"], dtype=np.int64)
+        return pa.table({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())})
 
-    return rows.groupBy("bucket", "block").applyInPandas(run, "a long, b long")
+    return rows.groupBy("bucket", "block").applyInArrow(run, "a long, b long")
 
 
 def classes(docs: DataFrame) -> DataFrame:
@@ -368,12 +358,7 @@ def classes(docs: DataFrame) -> DataFrame:
 
 def _named(docs: DataFrame) -> DataFrame:
     """node and text of every row."""
-
-    def fn(batch: pa.RecordBatch):
-        nodes = [node_of((t or "").encode()) for t in batch.column(0).to_pylist()]
-        yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), batch.column(0)], ["node", "text"])
-
-    return map_texts(docs, ["text"], fn, "node long, text string", 1 << 20)
+    return docs.select(words_hash(F.col("text")).alias("node"), F.coalesce("text", F.lit("")).alias("text"))
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -384,7 +369,7 @@ def deduplicate(docs: DataFrame) -> DataFrame:
     """docs with one row of every class, all columns."""
     kept = materialise(classes(docs).where("kept").select(F.col("doc_id").alias("__rf_doc"), F.col("node").alias("__rf_node")), "kept")
 
-    own = add_long(docs, "__rf_own", lambda t: node_of((t or "").encode()))
+    own = docs.withColumn("__rf_own", words_hash(F.col("text")))
     same = own["doc_id"].cast("long").eqNullSafe(kept["__rf_doc"]) & (own["__rf_own"] == kept["__rf_node"])
     once = Window.partitionBy("doc_id", "__rf_own").orderBy("doc_id")  # rows repeated whole
     return own.join(kept, same, "left_semi").withColumn("__rf_rank", F.row_number().over(once)).where("__rf_rank = 1").select(*docs.columns)

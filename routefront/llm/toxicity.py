@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_bucket, lower_ascii, map_rows, map_texts, materialise, text_views, token_bounds, token_hashes
+from .common import id_bucket, lower_ascii, map_texts, materialise, text_column, text_views, token_bounds, token_hashes
 
 #: Hash buckets of words, labelled documents that training may read, passes over them.
 BUCKETS, SAMPLE_DOCS, EPOCHS = 1 << 17, 12000, 80
@@ -221,7 +221,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
         worst[doc[order]] = at[order]
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p), pa.array(worst, mask=worst < 0)], ["doc_id", "score", "worst_start"])
 
-    return map_texts(docs, ["doc_id", "text"], fn, "doc_id long, score double, worst_start long")
+    return map_texts(docs, ["doc_id", "text"], fn, "doc_id long, score double, worst_start long", 1 << 19)
 
 
 def offending_sentences(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
@@ -246,11 +246,7 @@ def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """docs whose score stays below the threshold, all columns."""
+    """docs whose score stays below the threshold, all columns; only the texts pass through Python."""
     shared = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, id_bucket("doc_id", 3) != 1))
-
-    def fn(part: pa.RecordBatch) -> pa.RecordBatch:
-        p = _scores(part.column(part.schema.get_field_index("text")), part.num_rows, shared.value)[0]
-        return part.filter(pa.array(p < THRESHOLD))
-
-    return map_rows(docs, fn, docs.schema, 1 << 19)
+    p = text_column(lambda texts: pa.array(_scores(texts, len(texts), shared.value)[0]), "double")
+    return docs.where(p("text") < THRESHOLD)
