@@ -12,11 +12,12 @@ beside a bucket's largest class, are compared with all members, block by block,
 samples agree often enough and whose classes are still apart are computed, so a task returns links and no pairs. A bucket
 with very many outsiders first takes further leaders, from its smallest classes. Nothing is capped.
 
-Document frequencies of common shingles count every document. Each task first counts its shingles in groups of documents
-and sends those in at least `REPORT` of a group; a group that does not send a shingle has it in less than that share, which
-bounds its frequency from above. Shingles that may be in more than `COMMON` of all documents, at most (mean shingles a
-document) / (COMMON - REPORT), are then counted in every document. Only those in more than `COMMON` weigh less; all others
-have the same weight, however frequent. (A large group of near copies is itself a reason for frequent shingles; a lower bound would tear it apart.)
+Every shingle's weight is its count times idf = (log(1 + 1/share) / log(1 + 1/FLOOR)) ** DAMP, where share is the part of all
+documents that have it, `FLOOR` at least: up to that, or in one document only, a shingle is rare and weighs 1. The power keeps a large group of near
+copies together, whose own shingles are frequent because of it. Shares above the floor count every document: each task
+first counts its shingles in groups of documents and sends those in at least `REPORT` of a group; a group that does not
+send a shingle has it in less than that share, which bounds its frequency from above. Shingles that may reach the floor,
+at most (mean shingles a document) / (FLOOR - REPORT), are then counted in every document.
 
 Cases: null, empty and wordless texts have equal (no) words and form one class; ties and repeated rows are members
 like others, and one row of a class, with the smallest doc_id, is kept; a null doc_id comes after all others; an empty
@@ -36,10 +37,10 @@ from .common import map_texts, materialise, mix64, slices, text_views, token_bou
 SHINGLE, SIMILAR = 5, 0.8
 BANDS, ROWS = 10, 3
 SAMPLES = BANDS * ROWS
-#: Shares of documents: above COMMON a shingle loses weight; REPORT is the least share of a group that a task sends.
-COMMON, REPORT, GROUP = 0.3, 0.05, 256
-#: Agreeing samples below which a pair is not verified: at similarity 0.8 it has fewer once in some thousands of pairs.
-LEAST_AGREE = 17
+#: Share of documents up to which a shingle counts as rare, power of the inverse document frequency, least share of a group of documents that a task sends, documents and shingles of a group.
+FLOOR, DAMP, REPORT, GROUP, HELD = 0.01, 0.25, 0.005, 4096, 2_000_000
+#: Agreeing samples below which a pair is not verified: at similarity 0.8 a pair has fewer once in 19,000 (binomial of 30 draws).
+LEAST_AGREE = 15
 #: Nodes of a bucket outside its largest class up to which they are compared with all its members, members of a block
 #: of that comparison, and leaders that a bucket with more outsiders takes at a time.
 OUTSIDERS, BLOCK, LEADERS = 1024, 2048, 8
@@ -74,7 +75,7 @@ def shingles(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray,
 
 
 class Weights:
-    """Inverse document frequency of the common shingles (sorted), 1 for all others."""
+    """Inverse document frequency of the shingles above the floor (sorted), 1 for all others."""
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
         order = np.argsort(keys)
@@ -88,10 +89,10 @@ class Weights:
         return w
 
 
-def common_shingles(docs: DataFrame) -> Weights:
+def document_weights(docs: DataFrame) -> Weights:
     def run(batches):
         keys: list[np.ndarray] = []
-        n = 0
+        n = held = 0
 
         def send():
             k, c = np.unique(np.concatenate(keys), return_counts=True)
@@ -102,16 +103,17 @@ def common_shingles(docs: DataFrame) -> Weights:
             for part in slices(batch, "text", 2 << 20):
                 keys.append(shingles(*text_views(part.column(0)))[1])
                 n += part.num_rows
-                if n >= GROUP:
+                held += len(keys[-1])
+                if n >= GROUP or held >= HELD:
                     yield send()
-                    keys, n = [], 0
+                    keys, n, held = [], 0, 0
         if keys and n:
             yield send()
 
     total = docs.count()
-    least = max(COMMON * total, 1.0)
+    least = max(FLOOR * total, 1.0)
     sums = docs.select("text").mapInArrow(run, "shingle long, n long, docs long").groupBy("shingle").agg(F.sum("n").alias("n"), F.sum("docs").alias("docs"))
-    likely = sums.where(F.col("n") + REPORT * (total - F.col("docs")) > F.lit(least)).select("shingle").toArrow()  # at most mean shingles / (COMMON - REPORT)
+    likely = sums.where(F.col("n") + REPORT * (total - F.col("docs")) > F.lit(least)).select("shingle").toArrow()  # at most mean shingles / (FLOOR - REPORT)
     if not likely.num_rows:
         return Weights(np.zeros(0, np.uint64), np.zeros(0))
     shared = docs.sparkSession.sparkContext.broadcast(np.sort(likely.column("shingle").to_numpy().view(np.uint64)))
@@ -124,11 +126,12 @@ def common_shingles(docs: DataFrame) -> Weights:
                 found = shingles(*text_views(part.column(0)))[1]
                 at = np.minimum(np.searchsorted(keys, found), len(keys) - 1)
                 n += np.bincount(at[keys[at] == found], minlength=len(keys))
-        yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(n)], ["shingle", "n"])
+        hit = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(keys[hit].view(np.int64)), pa.array(n[hit])], ["shingle", "n"])
 
-    rows = docs.select("text").mapInArrow(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") > F.lit(least)).collect()  # at most mean shingles / COMMON
+    rows = docs.select("text").mapInArrow(count, "shingle long, n long").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") > F.lit(least)).collect()  # at most mean shingles / FLOOR
     df = np.array([r["n"] for r in rows], float) / total
-    return Weights(np.array([r["shingle"] for r in rows], np.int64).view(np.uint64), np.log1p(1 / df) / np.log1p(1 / COMMON) if len(rows) else df)
+    return Weights(np.array([r["shingle"] for r in rows], np.int64).view(np.uint64), (np.log1p(1 / df) / np.log1p(1 / FLOOR)) ** DAMP if len(rows) else df)
 
 
 def sample(owner: np.ndarray, shingle: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -299,7 +302,7 @@ def classes(docs: DataFrame) -> DataFrame:
     """Per document: row, doc_id, node, class_id (smallest doc_id of its class), class_size, kept."""
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    weights = spark.sparkContext.broadcast(common_shingles(docs))
+    weights = spark.sparkContext.broadcast(document_weights(docs))
     signed = materialise(signatures(docs, weights), "signatures")
     nodes = materialise(signed.where(F.col("bands").isNotNull()).groupBy("node").agg(F.first("bands").alias("bands"), F.first("prints").alias("prints")), "nodes")
     found = nodes.select("node", F.explode("bands").alias("bucket"))

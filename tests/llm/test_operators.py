@@ -28,9 +28,9 @@ def labels(spark):
 
 
 def operators(labels):
-    ranks, more = P.path("byte_bpe_50k.tiktoken"), P.path("byte_bpe_multi_50k.tiktoken")
+    ranks, more = P.path("byte_bpe_50k.json"), P.path("byte_bpe_multi_50k.tiktoken")
     return {
-        "pack": lambda d: packing.pack(d, ranks, P.PATTERN),
+        "pack": lambda d: packing.pack(d, ranks),
         "exact": exact_dedup.groups,
         "exact_filter": exact_dedup.deduplicate,
         "language": language_id.judge,
@@ -50,8 +50,6 @@ ONE_TO_ONE = {"exact", "language", "bpe", "substring", "lm", "toxicity", "near",
 
 @pytest.mark.parametrize("name", list(operators(None)))
 def test_odd_and_empty_tables(name, odd, labels):
-    if name == "language":
-        pytest.MonkeyPatch().setattr(language_id, "STEPS", 5)
     f = operators(labels)[name]
     got = f(odd).collect()
     if name in ONE_TO_ONE:
@@ -92,7 +90,7 @@ def test_many_near_copies_form_one_class(spark):
 
 
 def test_packing_rows_are_whole(odd):
-    rows = packing.pack(odd, P.path("byte_bpe_50k.tiktoken"), P.PATTERN).collect()
+    rows = packing.pack(odd, P.path("byte_bpe_50k.json")).collect()
     by = {}
     for r in rows:
         by.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
@@ -108,6 +106,83 @@ def test_packing_rows_are_whole(odd):
     assert empty["length"] == 1 and empty["ids_crc32"] == zlib.crc32(np.array([2], "<u4").tobytes())
 
 
+def test_bpe_columns_equal_tiktoken(odd):
+    import hashlib
+
+    import tiktoken
+
+    path = P.path("byte_bpe_multi_50k.tiktoken")
+    t = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=bpe.load_ranks(path), special_tokens={})
+    sha = lambda x: hashlib.sha256(x).hexdigest()
+    want = []
+    for r in odd.select("doc_id", "text").collect():
+        ids = t.encode_ordinary(r["text"] or "")
+        want.append((r["doc_id"], len(ids), sha(",".join(map(str, ids)).encode()), sha((r["text"] or "").encode())))
+    assert sorted(map(str, want)) == sorted(str(tuple(r)) for r in bpe.round_trip(odd, path, P.PATTERN).collect())
+
+
+@pytest.mark.parametrize("support", [0.0, 0.0005, 1.0])
+def test_repeated_passages_by_brute_force(spark, support):
+    """Every chunk of a later document that an earlier one has, joined to runs; with frequent digests by broadcast and without."""
+    shared = [" ".join(f"p{k}w{i * 7919 % 997}" for i in range(60)) for k in range(3)]
+    texts = [" ".join([f"d{i}x{j * 31 % 89}" for j in range(20)] + [shared[i % 3]] * (1 + (i % 5 == 0)) + [f"e{i}y{j}" for j in range(15)]) for i in range(30)]
+    docs = spark.createDataFrame([(29 - i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    order = [(29 - i, t.encode()) for i, t in enumerate(texts)][::-1]
+    for within in (False, True):
+        want, first = [], {}
+        parts = {}
+        for doc, raw in order:
+            start, _ = substring_dedup.cuts(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))
+            parts[doc] = [(int(a), raw[a:b]) for a, b in zip(start, [*start[1:], len(raw)])]
+            for _, c in parts[doc]:
+                first.setdefault(c, doc)
+        for doc, _ in order:
+            seen, run = set(), None
+            for a, c in [*parts[doc], (None, None)]:
+                if c is not None and (first[c] != doc or (within and c in seen)):
+                    run = (run[0], run[1] + c) if run else (a, c)
+                else:
+                    if run:
+                        want.append((doc, run[0], len(run[1])))
+                    run = None
+                seen.add(c)
+        got = substring_dedup.repeated_passages(docs, 0, within, support).collect()
+        assert sorted(want) == sorted((r["doc_id"], r["start"], r["length"]) for r in got)
+        assert sum(r["words"] >= 50 for r in got) >= 27  # the passage of every later document
+
+
+def test_near_classes_by_all_pairs(spark):
+    """Exact weighted similarity of all pairs, joined to classes: recall of its links and no false class."""
+    r = np.random.default_rng(12)
+    texts = []
+    for k in range(25):
+        base = [f"b{k}w{i * 17 % 311}" for i in range(int(r.integers(120, 300)))]
+        for _ in range(int(r.integers(1, 7))):
+            w = list(base)
+            for _ in range(int(r.integers(0, 4))):
+                w[int(r.integers(len(w)))] = f"n{int(r.integers(1 << 30))}"
+            texts.append(" ".join(w))
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    weights = near_dedup.document_weights(docs)
+    vectors = []
+    for t in texts:
+        _, key, count = near_dedup.shingles(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t.encode())]))
+        vectors.append((key, weights.of(key, count)))
+    parent = list(range(len(texts)))
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    links = [(i, j) for i in range(len(texts)) for j in range(i) if near_dedup.similarity(*vectors[i], *vectors[j]) >= near_dedup.SIMILAR]
+    for i, j in links:
+        parent[max(find(i), find(j))] = min(find(i), find(j))
+    got = {x["doc_id"]: x["class_id"] for x in near_dedup.classes(docs).collect()}
+    assert len(links) > 30 and sum(got[i] == got[j] for i, j in links) >= 0.97 * len(links)
+    assert all(find(i) == find(got[i]) for i in got)  # nothing joined that no chain of links joins
+
+
 def test_urls_by_brute_force(spark):
     rules = url_filter.parse_rules(["block com/en/", "allow example.com/en/7", "allow net/de/", "block example.net/de/8", "block org/es/"])
     urls = [None, "", "no scheme", "http://A.Example.COM/en/7x?q#f", "https://example.com/en/8", "https://com/en/", "http://xcom/en/1", "https://b.example.net/de/80", "http://b.example.net/de/9#t", "http://q.org/es", "http://q.org/es/", "ftp://", "http://h?x=/en/", "http://h.com#/en/"]
@@ -164,7 +239,7 @@ def test_toxicity_model_is_the_one_of_all_words(spark):
 
 
 @pytest.mark.parametrize("parts", [1, 30])
-def test_common_shingles_count_every_document(spark, parts):
+def test_document_frequencies_count_every_document(spark, parts):
     """Frequencies by brute force, with two documents a task as with all in one."""
     same, often, rare = ("all of them say this", "every second one says that", "every fourth one says so")
     texts = [" ".join([f"w{i}x{j}" for j in range(6)] + [same] + ([often] if i % 2 else []) + ([rare] if i % 4 == 0 else [])) for i in range(60)]
@@ -172,6 +247,6 @@ def test_common_shingles_count_every_document(spark, parts):
     found = Counter()
     for t in texts:
         found.update(set(near_dedup.shingles(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t)]))[1].tolist()))
-    want = {k: np.log1p(60 / n) / np.log1p(1 / near_dedup.COMMON) for k, n in found.items() if n > near_dedup.COMMON * 60}
-    got = near_dedup.common_shingles(docs)
+    want = {k: (np.log1p(60 / n) / np.log1p(1 / near_dedup.FLOOR)) ** near_dedup.DAMP for k, n in found.items() if n > 1}
+    got = near_dedup.document_weights(docs)
     assert want and dict(zip(got.keys.tolist(), got.values.tolist())) == pytest.approx(want)
