@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import inspect
 import math
 import time
 import uuid
@@ -211,7 +212,10 @@ def manhattan_bounds(nodes: DataFrame, tasks: DataFrame, least_edge: int) -> Dat
 
 
 def path_front(edges: DataFrame, tasks: DataFrame, criteria: list[str], bounds: str = "onepass", engine: str = "auto", **options) -> DataFrame:
-    """(task_id, cost, path, n_hops): every non-dominated path of every task. edges carry named cost columns."""
+    """(task_id, cost, path, n_hops): every non-dominated path of every task. edges carry named cost columns.
+
+    engine='auto' searches in memory up to EDGE_LIMIT edges and by supersteps above; what supersteps lack is an error there.
+    """
     part = project(edges, criteria)
     d = len(criteria)
     if engine == "auto":
@@ -220,6 +224,11 @@ def path_front(edges: DataFrame, tasks: DataFrame, criteria: list[str], bounds:
         got = solve(part, tasks, bounds, bound_options=options.get("bound_options"), search_options=options.get("search_options"), landmarks=options.get("landmarks"))
         rows = got.select("task_id", F.explode("front").alias("f")).select("task_id", "f.cost", "f.path")
     else:
+        if bounds not in ("none", "onepass", "twosided", "multi"):
+            raise ValueError(f"bounds {bounds!r} are computed in memory only, for at most {kernel.EDGE_LIMIT} edges; supersteps have none, multi, onepass and twosided")
+        known = set(inspect.signature(labels.path_fronts).parameters)
+        if strange := sorted({*options.get("search_options", {})} - known) + sorted({"bound_options", "landmarks"} & {*options}):
+            raise ValueError(f"supersteps do not have the options {strange}; the front is the same without them")
         lb = anchors = None
         if bounds == "twosided":
             r = sweep.twosided_bounds(part, tasks, d)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import time
 import uuid
 from collections.abc import Callable
@@ -29,9 +30,11 @@ def _forget() -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a folder of our own only where it is unset."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    return at or spark.sparkContext.getCheckpointDir() or f"file:///tmp/checkpoints/routefront-{os.getpid()}"
+    """spark.checkpoint.dir of the session; a folder of our own only where it is unset and driver and executors are one process."""
+    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not at and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+    return at or f"file:///tmp/checkpoints/routefront-{os.getpid()}"
 
 
 def materialise(df: DataFrame, label: str) -> DataFrame:

@@ -494,7 +494,7 @@ def solution_graph(spark, d):
 @query()
 def path_front_single_source(spark, d):
     """Search without a target on the city block: fronts at every node."""
-    t = T.mini(spark, d).limit(2)
+    t = T.mini(spark, d)
     return batch.single_source_counts(N.project(N.city(spark, d), C.columns("te")), t).drop("search_ms")
 
 

@@ -69,7 +69,7 @@ def ev_latest_cost(spark, d):
 @query("SELECT count(DISTINCT event_id) AS n FROM events")
 def ev_dedup(spark, d):
     s = U.event_stream(spark, d)
-    twice = s.union(s).withWatermark("ts", "40 days").dropDuplicatesWithinWatermark(["event_id"])
+    twice = s.union(s).withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"])
     return U.run_to_memory(twice.select("event_id"), "append").agg(F.countDistinct("event_id").alias("n"))
 
 

@@ -10,17 +10,26 @@ from pyspark.sql import functions as F
 
 from ..functions import criteria as C
 from ..plans import batch
-from ..plans.loop import shared_dir
+from ..plans.loop import materialise, shared_dir
 from ..sources import networks as N
 
 EVENTS = "event_id LONG, ts TIMESTAMP, user_id LONG, event_type STRING, value DOUBLE, props STRING"
 
 
+#: Events of a file of the replayed stream, about.
+PER_FILE = 1_000_000
+
+
 def event_stream(spark: SparkSession, sf_dir: str, files: int = 4, per_trigger: int = 1) -> DataFrame:
-    """The events table as a stream of files in the shared folder, in order of time."""
+    """The events table replayed as files in the shared folder. The source reads files by their time of modification, so they are written one after another, a range of event times each: no row is late."""
     path = f"{shared_dir(spark).rstrip('/')}/events-{uuid.uuid4().hex}"
     e = N.table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value", "props")
-    e.repartitionByRange(files, "ts").sortWithinPartitions("ts").write.parquet(path)
+    span = e.agg(F.unix_micros(F.min("ts")).alias("low"), F.unix_micros(F.max("ts")).alias("high"), F.count(F.lit(1)).alias("n")).first()
+    low, files = span["low"] or 0, max(files, -(-span["n"] // PER_FILE))
+    width = ((span["high"] or 0) - low) // files + 1
+    e = materialise(e.withColumn("part", F.floor((F.unix_micros("ts") - low) / width).cast("int")), "events")
+    for k in range(files):
+        e.where((F.col("part") == k) | (F.lit(k == 0) & F.col("part").isNull())).drop("part").coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", per_trigger).parquet(path)
 
 

@@ -47,17 +47,17 @@ def src_network_tables(spark, d):
     return out
 
 
-@query(f"{G} SELECT * FROM edges WHERE src < 200")
+@query(f"{G} SELECT * FROM edges")
 def edge_csv_roundtrip(spark, d):
     path = f"{shared_dir(spark).rstrip('/')}/edges-{uuid.uuid4().hex}"
-    N.grid_road(spark, d).where("src < 200").write.option("header", True).csv(path)
+    N.grid_road(spark, d).write.option("header", True).csv(path)
     return N.read_edges(spark, path)
 
 
-@query(f"{G} SELECT *, src % 4 AS part FROM edges WHERE src < 400")
+@query(f"{G} SELECT *, src % 4 AS part FROM edges")
 def sink_roundtrip(spark, d):
     path = f"{shared_dir(spark).rstrip('/')}/edges-{uuid.uuid4().hex}"
-    N.grid_road(spark, d).where("src < 400").withColumn("part", F.col("src") % 4).write.partitionBy("part").parquet(path)
+    N.grid_road(spark, d).withColumn("part", F.col("src") % 4).write.partitionBy("part").parquet(path)
     return spark.read.schema(N.EDGE_SCHEMA + ", part LONG").parquet(path)
 
 
@@ -99,13 +99,13 @@ def range_band_join(spark, d):
     return p.join(q, on).groupBy("p_partkey").agg(F.count(F.lit(1)).alias("pairs"))
 
 
-@query("SELECT e.event_id, coalesce((SELECT max_by(struct_pack(v := round(u.value * 100)::BIGINT), struct_pack(a := u.ts, b := u.event_id)).v FROM events u WHERE u.user_id = e.user_id AND u.event_type = 'purchase' AND (u.ts < e.ts OR (u.ts = e.ts AND u.event_id < e.event_id))), -1) AS last_value FROM events e WHERE e.event_id % 10 = 0")
+@query("SELECT e.event_id, coalesce((SELECT max_by(struct_pack(v := round(u.value * 100)::BIGINT), struct_pack(a := u.ts, b := u.event_id)).v FROM events u WHERE u.user_id = e.user_id AND u.event_type = 'purchase' AND (u.ts < e.ts OR (u.ts = e.ts AND u.event_id < e.event_id))), -1) AS last_value FROM events e")
 def cost_asof_events(spark, d):
     """The user's last purchase value before each event."""
     e = t(spark, d, "events")
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     last = F.last(F.when(F.col("event_type") == "purchase", F.round(F.col("value") * 100).cast("long")), True).over(w)
-    return e.withColumn("last_value", last).where("event_id % 10 = 0").select("event_id", F.coalesce("last_value", F.lit(-1)).alias("last_value"))
+    return e.withColumn("last_value", last).select("event_id", F.coalesce("last_value", F.lit(-1)).alias("last_value"))
 
 
 @query("SELECT a.event_id, count(*) AS near FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id <> b.event_id AND b.ts BETWEEN a.ts - INTERVAL 12 HOUR AND a.ts + INTERVAL 12 HOUR GROUP BY a.event_id")
@@ -209,9 +209,9 @@ def visited_except(spark, d):
     return a.subtract(b)
 
 
-@query(f"{G} SELECT src, dst, criterion, cost FROM edges UNPIVOT (cost FOR criterion IN (c_time, c_distance, c_crossings, c_penalised, c_energy)) WHERE src < 300")
+@query(f"{G} SELECT src, dst, criterion, cost FROM edges UNPIVOT (cost FOR criterion IN (c_time, c_distance, c_crossings, c_penalised, c_energy))")
 def criteria_unpivot(spark, d):
-    return N.grid_road(spark, d).where("src < 300").unpivot(["src", "dst"], C.ALL, "criterion", "cost")
+    return N.grid_road(spark, d).unpivot(["src", "dst"], C.ALL, "criterion", "cost")
 
 
 @query("SELECT c_nationkey, count(*) FILTER (c_mktsegment = 'BUILDING') AS building, count(*) FILTER (c_mktsegment = 'MACHINERY') AS machinery FROM customer GROUP BY c_nationkey")
@@ -270,9 +270,9 @@ def path_arrays(spark, d):
     return t(spark, d, "customer").select("c_custkey", F.concat(F.lit("["), F.array_join(F.transform(F.array_sort(a), lambda x: x.cast("string")), ", "), F.lit("]")).alias("a"), D.vec_total(a).alias("s"), F.size(F.array_distinct(a)).cast("long").alias("u"))
 
 
-@query(f"{G} SELECT src, dst, c_time AS time, c_energy AS energy FROM edges WHERE src < 100")
+@query(f"{G} SELECT src, dst, c_time AS time, c_energy AS energy FROM edges")
 def cost_map(spark, d):
-    m = N.grid_road(spark, d).where("src < 100").select("src", "dst", F.create_map(F.lit("time"), "c_time", F.lit("energy"), "c_energy").alias("m"))
+    m = N.grid_road(spark, d).select("src", "dst", F.create_map(F.lit("time"), "c_time", F.lit("energy"), "c_energy").alias("m"))
     return m.select("src", "dst", F.col("m")["time"].alias("time"), F.col("m")["energy"].alias("energy"))
 
 
@@ -313,7 +313,7 @@ def udaf_front_size(spark, d):
     return N.trade(spark, d).groupBy("src").agg(front_size("c_price", "c_lag").alias("front_size"))
 
 
-@query("SELECT c_custkey, unnest([c_custkey, c_custkey + 1, c_custkey + 2]) AS node FROM customer WHERE c_custkey < 50")
+@query("SELECT c_custkey, unnest([c_custkey, c_custkey + 1, c_custkey + 2]) AS node FROM customer")
 def udtf_expand_path(spark, d):
     @F.udtf(returnType="node: long")
     class Expand:
@@ -322,7 +322,7 @@ def udtf_expand_path(spark, d):
                 yield (n,)
 
     spark.udtf.register("rf_expand_path", Expand)
-    t(spark, d, "customer").where("c_custkey < 50").createOrReplaceTempView("rf_few")
+    t(spark, d, "customer").createOrReplaceTempView("rf_few")
     return spark.sql("SELECT c_custkey, x.node FROM rf_few, LATERAL rf_expand_path(array(c_custkey, c_custkey + 1, c_custkey + 2)) x")
 
 
