@@ -223,11 +223,11 @@ def merge_all(pieces: Iterable[bytes], table: Merges) -> list[bytes]:
 class Encoder:
     """Ids of whole texts, as little-endian 32-bit numbers. Units between single spaces are remembered with their ids.
 
-    resolve: ids of units, each a text that may begin with a space.
+    texts: ids of texts; units: ids of units, each a space and then no blanks but single line feeds between others.
     """
 
-    def __init__(self, resolve: Callable[[list[str]], list[bytes]], most: int = REMEMBERED):
-        self.resolve, self.most = resolve, most
+    def __init__(self, texts: Callable[[list[str]], list[bytes]], units: Callable[[list[str]], list[bytes]] | None = None, most: int = REMEMBERED):
+        self.texts, self.units, self.most = texts, units or texts, most
         self.known: dict[str, bytes] = {}  # by the text after the unit's leading space
         self.older: dict[str, bytes] = {}  # what was known before: what is met again comes back, the rest goes
         self.held = 0
@@ -240,7 +240,7 @@ class Encoder:
             self.known.update((u, self.older[u]) for u in again)
             new -= again
         if new:
-            self.known.update(zip(new, self.resolve([" " + u for u in new]), strict=True))
+            self.known.update(zip(new, self.units([" " + u for u in new]), strict=True))  # a set keeps its order while it is not changed
         self.held += sum(map(len, new)) + sum(map(len, again)) + 160 * (len(new) + len(again))  # the heads of three objects and ids
 
     def encode_all(self, texts: list[str]) -> list[bytes]:
@@ -252,11 +252,13 @@ class Encoder:
                 rest_of.append(())
             else:
                 head, *tail = text.split(" ")
+                if tail and (not tail[-1] or tail[-1][-1] == "\n"):  # a blank ends the text
+                    head, tail = text, []
                 parts.append(head)
                 rest_of.append(tail)
                 rests.update(tail)
         self._learn(rests)
-        heads = self.resolve(parts)
+        heads = self.texts(parts)
         get = self.known.__getitem__
         return [b"".join([head, *map(get, tail)]) for head, tail in zip(heads, rest_of, strict=True)]
 

@@ -212,39 +212,36 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> Plan:
     return Plan(capacity, base, {n: np.array(r, np.int64) for n, r in ranges.items()})
 
 
-#: Units in a string that is encoded at once; a line feed parts them, which is a pre-token and an id of its own before a space.
-JOINED = 500
+#: Units in a string that is encoded at once.
+JOINED = 64
 
 
-def by_tokenizers(path: str) -> Callable[[list[str]], list[bytes]]:
-    """Ids of texts by `tokenizers`. Units that begin with a space and hold no line feed are encoded many at a time."""
+def by_tokenizers(path: str) -> tuple[Callable[[list[str]], list[bytes]], Callable[[list[str]], list[bytes]]]:
+    """Ids by `tokenizers`: of any texts, and of units (a space, then no blanks but single line feeds) many at a time, parted by line feeds, which are ids of their own there."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
     from tokenizers import Tokenizer
 
     tokenizer = Tokenizer.from_file(path)
     tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-    ids = lambda texts: [np.array(e.ids, "<u4") for e in tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
-    line = int(ids(["\n"])[0][0])
-
-    def resolve(texts: list[str]) -> list[bytes]:
-        out: list[bytes] = [b""] * len(texts)
-        plain = [i for i, t in enumerate(texts) if t[:1] == " " and "\n" not in t and t[1:2].strip()]
-        for a in range(0, len(plain), JOINED):
-            part = plain[a : a + JOINED]
-            got = ids(["\n".join(texts[i] for i in part) + "\n "])[0]
-            ends = np.flatnonzero(got == line).tolist()
-            raw, begin = got.tobytes(), 0
-            for i, end in zip(part, ends, strict=True):
-                out[i] = raw[4 * begin : 4 * end]
-                begin = end + 1
-        other = sorted(set(range(len(texts))).difference(plain))
-        for a in range(0, len(other), JOINED):
-            part = other[a : a + JOINED]
-            for i, got in zip(part, ids([texts[i] for i in part]), strict=True):
-                out[i] = got.tobytes()
+    encode = tokenizer.encode_batch_fast
+    line = encode(["\n"], add_special_tokens=False)[0].ids[0]
+
+    def texts(parts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in encode(parts, add_special_tokens=False)]
+
+    def units(parts: list[str]) -> list[bytes]:
+        out: list[bytes] = []
+        for a in range(0, len(parts), JOINED):
+            joined = "\n".join(parts[a : a + JOINED])
+            got = np.array(encode([joined + "\n"], add_special_tokens=False)[0].ids, "<u4")
+            ends = np.flatnonzero(got == line)
+            if len(ends) > JOINED or a + JOINED > len(parts):  # line feeds inside units do not end them
+                ends = ends[np.cumsum([p.count("\n") + 1 for p in parts[a : a + JOINED]]) - 1]
+            raw, ends = got.tobytes(), (4 * ends).tolist()
+            out += [raw[b:e] for b, e in zip([0, *(e + 4 for e in ends[:-1])], ends, strict=True)]
         return out
 
-    return resolve
+    return texts, units
 
 
 _packers: dict[str, bpe.Encoder] = {}
@@ -252,7 +249,7 @@ _packers: dict[str, bpe.Encoder] = {}
 
 def _packer(path: str) -> bpe.Encoder:
     if path not in _packers:
-        _packers[path] = bpe.Encoder(by_tokenizers(path))
+        _packers[path] = bpe.Encoder(*by_tokenizers(path))
     return _packers[path]
 
 

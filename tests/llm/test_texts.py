@@ -61,7 +61,7 @@ def test_packing_ids_equal_the_tokenizers_library():
     t = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
     t.encode_special_tokens = True
     enc = packing._packer(P.path("byte_bpe_50k.json"))
-    texts = ["Hello there, world!", "two  spaces\n\nand é ü", "one\nline feed here\nand there", "x" * 300, "<|endoftext|> here", *random_texts(200)]
+    texts = ["Hello there, world!", "two  spaces\n\nand é ü", "one\nline feed here\nand there", "x" * 300, "<|endoftext|> here", "ends in a space ", "ends in a line\n", "a\nb\nc d\ne\nf g", *random_texts(200), *(" ".join(f"u{i}w{k}" + ("\nx" if k % 7 == 0 else "") for k in range(200)) for i in range(3))]
     for text, raw in zip(texts, enc.encode_all(texts), strict=True):
         assert numbers(raw) == t.encode(text, add_special_tokens=False).ids
 
