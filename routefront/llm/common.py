@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -21,9 +22,11 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir as the session has it, one of our own only if unset."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
-    return at or spark.sparkContext.getCheckpointDir() or f"file:///tmp/checkpoints/routefront-{os.getpid()}"
+    """The folder that driver and executors share: spark.checkpoint.dir as the session has it; one of our own only if unset and the master is local."""
+    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not at and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+    return at or f"file:///tmp/checkpoints/routefront-{os.getpid()}"
 
 
 def _forget() -> None:
