@@ -167,10 +167,12 @@ def fit(docs: DataFrame, learn: Column, per_language: int = DOCS_PER_LANGUAGE, w
         out = []
         for text in batch.column(1).to_pylist():
             w = text.encode().split()
-            out.append([s for x in w[:: max(1, len(w) // words_per_doc)][:words_per_doc] for s in spans(x)[:2]])
+            few = min(words_per_doc, len(w))
+            out.append([s for i in range(few) for s in spans(w[i * len(w) // few])])
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array(out, pa.list_(pa.binary()))], ["doc_id", "lang", "ord", "words"])
 
-    rows = map_texts(sample, ["doc_id", "text", "lang", "ord"], fn, "doc_id long, lang string, ord long, words array<binary>").collect()  # about twice per_language rows a language
+    rows = map_texts(sample, ["doc_id", "text", "lang", "ord"], fn, "doc_id long, lang string, ord long, words array<binary>")
+    rows = rows.orderBy("ord", "doc_id", "words").limit(4 * per_language * len(have)).collect() if have else []  # about half as many, unless ids repeat
     rows.sort(key=lambda r: (r["lang"], r["ord"], r["doc_id"]))
     languages = sorted({r["lang"] for r in rows if r["words"]})
     words, labels, taken = [], [], Counter()

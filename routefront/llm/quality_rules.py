@@ -195,7 +195,7 @@ def fit(stats: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) ->
     known = labels.select("doc_id", F.col("quality").cast("int").alias("quality")).where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull())
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
     rows = stats.join(F.broadcast(chosen), "doc_id").where(~base_failed()).select("quality", "doc_id", *(ratio(t, b).alias(n) for n, t, b in RATIOS))
-    got = rows.toPandas().sort_values(["doc_id", *(n for n, _, _ in RATIOS)])  # at most sample_rows labels
+    got = rows.orderBy(F.xxhash64("doc_id"), "doc_id", *(n for n, _, _ in RATIOS)).limit(sample_rows).toPandas().sort_values(["doc_id", *(n for n, _, _ in RATIOS)])  # at most sample_rows rows, also where ids repeat
     return learn({n: got[n].to_numpy(float) for n, _, _ in RATIOS}, (got["quality"] == 0).to_numpy())
 
 

@@ -171,6 +171,9 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column | None = None, sample_
 
     rows = materialise(map_texts(texts, ["doc_id", "text", "toxic"], fn, "doc_id long, toxic int, words binary, sizes binary"), "toxicity-features")
 
+    if rows.count() > sample_docs:  # ids that repeat
+        rows = materialise(rows.orderBy(F.xxhash64("doc_id"), "doc_id", "words").limit(sample_docs), "toxicity-sample")
+
     def count(batches):
         seen = np.zeros((2, BUCKETS), np.int64)  # documents that have a word: clean, toxic
         for batch in batches:

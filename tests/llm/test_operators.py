@@ -250,3 +250,22 @@ def test_document_frequencies_count_every_document(spark, parts):
     want = {k: (np.log1p(60 / n) / np.log1p(1 / near_dedup.FLOOR)) ** near_dedup.DAMP for k, n in found.items() if n > 1}
     got = near_dedup.document_weights(docs)
     assert want and dict(zip(got.keys.tolist(), got.values.tolist())) == pytest.approx(want)
+
+
+def test_pipeline_stages_on_odd_and_empty_tables(spark, odd, labels, tmp_path):
+    """Every stage on what its predecessor kept: nulls, empty and long texts, copies, repeated rows, clashing names; and on no rows."""
+    pipeline = pytest.importorskip("corpus_pipeline")
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    docs, kept = odd, {}
+    for k, (name, stage) in enumerate(pipeline.STAGES):
+        out = stage(spark, docs, str(tmp_path))
+        if name != pipeline.STAGES[-1][0]:
+            assert out.schema.names == odd.schema.names
+        out.write.parquet(f"{tmp_path}/{k}")
+        docs = spark.read.parquet(f"{tmp_path}/{k}")
+        kept[name] = sorted((r["doc_id"] for r in docs.collect()), key=str)
+        assert stage(spark, odd.limit(0), str(tmp_path)).collect() == []
+    copies = kept["exact_dedup"]
+    assert len(kept["toxicity"]) >= 12 and copies.count(3) == 1 and 4 not in copies and 5 not in copies and 1 not in copies
+    assert {6, 9, 10} <= set(kept["near_dedup"]) and not {7, 8} & set(kept["near_dedup"])
+    assert kept["substring_dedup"] == kept["near_dedup"] and set(kept["best_fit_packing"]) == set(kept["near_dedup"])

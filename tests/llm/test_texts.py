@@ -7,7 +7,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from routefront.llm import bpe, hmm, near_dedup, packing, quality_rules, substring_dedup, toxicity, url_filter
+from routefront.llm import bpe, hmm, language_id, near_dedup, packing, quality_rules, substring_dedup, toxicity, url_filter
 from routefront.llm.common import text_views, token_bounds, token_hashes
 
 P = pytest.importorskip("public_tokenizers")
@@ -237,3 +237,24 @@ def test_multiple_instance_learning_finds_the_sentence():
     worst = at[doc == 0][np.argmax(z[doc == 0])]
     assert texts[0].encode()[worst:].startswith(b"you nasty")
     assert toxicity._scores(pa.array(["", None], pa.large_string()), 2, m)[0].tolist() == [0.0, 0.0]
+
+
+def test_gradients_of_the_language_network_by_differences():
+    """Backpropagation through time against central differences, in double precision."""
+    r = np.random.default_rng(13)
+    net = language_id.Network.start(["a", "b", "c"], hidden=4, seed=2)
+    net.table, net.recur, net.bias = ([p.astype(float) for p in side] for side in (net.table, net.recur, net.bias))
+    net.out, net.out_bias = net.out.astype(float), net.out_bias.astype(float)
+    x, n = language_id.matrix([b"abca", b"b", b"cabbage", b"ab"])
+    y = np.array([0, 1, 2, 1])
+    _, grads = net.gradients(x, n, y)
+    for p, g in zip(net.parameters(), grads, strict=True):
+        used = np.argwhere(np.abs(g) > 1e-3)
+        for at in map(tuple, used[r.permutation(len(used))[:6]]):
+            eps, old = 2e-2, p[at]
+            p[at] = old + eps
+            up = net.gradients(x, n, y)[0]
+            p[at] = old - eps
+            down = net.gradients(x, n, y)[0]
+            p[at] = old
+            assert (up - down) / (2 * eps) == pytest.approx(g[at], rel=0.05, abs=2e-4)
