@@ -1,7 +1,8 @@
 """The corpus pipeline: toxic documents go, copies and near copies go, repeated passages are cut, the rest is packed.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; `run` writes each stage's rows as Parquet in the shared
-folder and reads them as the next one's docs.
+folder and reads them as the next one's docs. All stages take nulls in any column, empty and very long texts, ties, repeated
+rows, empty tables (no rows come out) and columns of any further names, which pass through up to the last stage.
 """
 
 from __future__ import annotations
@@ -14,22 +15,27 @@ from routefront.llm.common import materialise, table
 
 
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents scored 0.7 or more go; a null, empty or wordless text scores 0 and stays."""
     return toxicity.keep_clean(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of texts equal but for white space the row with the smallest doc_id stays, a null doc_id last; null counts as empty."""
     return exact_dedup.deduplicate(docs)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each class of near copies the row with the smallest doc_id stays, a null doc_id last; texts without words are one class."""
     return near_dedup.deduplicate(docs)
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """No row goes; passages that an earlier document has are cut out of later texts, and n_chars follows."""
     return substring_dedup.remove_repeats(docs)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A row for each piece of each document, with its sequence and place; a null or empty text is the end id alone."""
     return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.json"))
 
 
