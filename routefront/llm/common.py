@@ -135,11 +135,15 @@ def token_bounds(buf: np.ndarray, offs: np.ndarray, space: np.ndarray = SPACE) -
 def mix64(x: np.ndarray) -> np.ndarray:
     """SplitMix64 finaliser (public domain), vectorised."""
     x = x.astype(np.uint64, copy=True)
-    x ^= x >> np.uint64(30)
-    x *= np.uint64(0xBF58476D1CE4E5B9)
-    x ^= x >> np.uint64(27)
-    x *= np.uint64(0x94D049BB133111EB)
-    x ^= x >> np.uint64(31)
+    return mix_into(x, np.empty_like(x))
+
+
+def mix_into(x: np.ndarray, temp: np.ndarray) -> np.ndarray:
+    """mix64 in place; temp: room for as many numbers."""
+    for bits, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB), (31, 1)):
+        np.bitwise_xor(x, np.right_shift(x, np.uint64(bits), out=temp), out=x)
+        if factor != 1:
+            np.multiply(x, np.uint64(factor), out=x)
     return x
 
 

@@ -32,7 +32,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import map_texts, materialise, mix64, slices, text_views, token_bounds, token_hashes, words_hash
+from .common import map_texts, materialise, mix64, mix_into, slices, text_views, token_bounds, token_hashes, words_hash
 
 SHINGLE, SIMILAR = 5, 0.8
 BANDS, ROWS = 10, 3
@@ -44,6 +44,8 @@ LEAST_AGREE = 15
 #: Nodes of a bucket outside its largest class up to which they are compared with all its members, members of a block
 #: of that comparison, and leaders that a bucket with more outsiders takes at a time.
 OUTSIDERS, BLOCK, LEADERS = 1024, 2048, 8
+#: Elements that are drawn from at a time, so that the numbers stay in a core's cache.
+DRAWN = 1 << 15
 
 _SPREAD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SEEDS = mix64(np.arange(1, SAMPLES + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019))
@@ -56,17 +58,24 @@ def shingles(buf: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray,
         return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
     h = token_hashes(buf, starts, ends)
     size = np.bincount(doc, minlength=len(offs) - 1)
-    first = np.append(0, np.cumsum(size))[:-1]
-    whole = np.arange(len(h)) + SHINGLE <= (first + size)[doc]
-    whole |= (np.arange(len(h)) == first[doc]) & (size[doc] < SHINGLE)  # a short text is one shingle
+    end, nth = np.cumsum(size)[doc], np.arange(len(h))
+    whole = nth + SHINGLE <= end
+    whole |= (nth + size[doc] == end) & (size[doc] < SHINGLE)  # a short text is one shingle
     at = np.flatnonzero(whole)
-    mixed = np.zeros(len(at), np.uint64)
+    end = end[at]
+    short = np.flatnonzero(at + SHINGLE > end)
+    after = np.append(h, np.zeros(SHINGLE, np.uint64))
+    mixed, temp = np.zeros(len(at), np.uint64), np.empty(len(at), np.uint64)
     for k in range(SHINGLE):
-        inside = at + k < (first + size)[doc[at]]
-        mixed += np.where(inside, h[np.minimum(at + k, len(h) - 1)], np.uint64(0)) * _SPREAD[k]
-        mixed = mix64(mixed)
+        word = after[at + k]
+        word[short[at[short] + k >= end[short]]] = 0
+        word *= _SPREAD[k]
+        mixed += word
+        mix_into(mixed, temp)
     owner = doc[at]
-    order = np.lexsort((mixed, owner))
+    order = np.argsort(mixed)
+    few = owner.astype(np.uint16) if len(offs) <= 1 << 16 else owner  # 16-bit keys are sorted by counting
+    order = order[np.argsort(few[order], kind="stable")]
     owner, mixed = owner[order], mixed[order]
     new = np.ones(len(owner), bool)
     new[1:] = (owner[1:] != owner[:-1]) | (mixed[1:] != mixed[:-1])
@@ -135,28 +144,48 @@ def document_weights(docs: DataFrame) -> Weights:
 
 
 def sample(owner: np.ndarray, shingle: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Documents that have elements, and their samples (documents, SAMPLES): hashes of element and quantised weight."""
+    """Documents that have elements, and their samples (documents, SAMPLES): hashes of element and quantised weight. Whole documents, about `DRAWN` elements at a time."""
     begin = np.flatnonzero(np.append(True, owner[1:] != owner[:-1])) if len(owner) else np.zeros(0, np.int64)
     out = np.zeros((len(begin), SAMPLES), np.uint64)
-    if not len(begin):
-        return begin, out
-    size = np.diff(np.append(begin, len(owner)))
+    ends = np.append(begin[1:], len(owner))
+    i = 0
+    while i < len(begin):
+        j = max(i + 1, int(np.searchsorted(ends, begin[i] + DRAWN, "right")))
+        part = slice(begin[i], ends[j - 1])
+        _draw(begin[i:j] - begin[i], shingle[part], weight[part], out[i:j])
+        i = j
+    return owner[begin], out
+
+
+def _draw(begin: np.ndarray, shingle: np.ndarray, weight: np.ndarray, out: np.ndarray) -> None:
+    """Samples of documents that begin at `begin`, into out."""
+    rank = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(shingle))))
     log_w = np.log(weight).astype(np.float32)
     low, unit = np.uint64((1 << 21) - 1), np.float32(1 / (1 << 21))
+    a, b, temp = (np.empty(len(shingle), np.uint64) for _ in range(3))
+
+    def uniform(x: np.ndarray, bit: int) -> np.ndarray:
+        np.right_shift(x, np.uint64(bit), out=temp)
+        np.bitwise_and(temp, low, out=temp)
+        u = temp.view(np.int64).astype(np.float32)
+        u *= unit
+        u += unit / 2
+        return u
+
+    def gamma(u: np.ndarray, v: np.ndarray) -> np.ndarray:
+        u *= v
+        return np.negative(np.log(u, out=u), out=u)
+
     for k in range(SAMPLES):
-        a = mix64(shingle ^ _SEEDS[k])
-        b = mix64(a + _SPREAD[0])
-        part = lambda x, s: ((x >> np.uint64(s)) & low).astype(np.float32) * unit + unit / 2
-        r = -np.log(part(a, 0) * part(a, 21))
-        c = -np.log(part(a, 42) * part(b, 0))
-        beta = part(b, 21)
+        mix_into(np.bitwise_xor(shingle, _SEEDS[k], out=a), temp)
+        mix_into(np.add(a, _SPREAD[0], out=b), temp)
+        r, c, beta = gamma(uniform(a, 0), uniform(a, 21)), gamma(uniform(a, 42), uniform(b, 0)), uniform(b, 21)
         t = np.floor(log_w / r + beta)
-        value = np.log(c) - r * (t - beta + 1)
-        least = np.minimum.reduceat(value, begin)
-        hit = np.flatnonzero(value == np.repeat(least, size))
-        hit = hit[np.unique(owner[hit], return_index=True)[1]]
+        value = np.log(c, out=c)
+        value -= r * (t - beta + 1)
+        hit = np.flatnonzero(value == np.minimum.reduceat(value, begin)[rank])
+        hit = hit[np.append(True, rank[hit[1:]] != rank[hit[:-1]])]
         out[:, k] = mix64(shingle[hit] + t[hit].astype(np.int64).view(np.uint64) * _SPREAD[1])
-    return owner[begin], out
 
 
 SIGNED = "row long, doc_id long, node long, bands array<long>, prints binary"
