@@ -46,6 +46,8 @@ LEAST_AGREE = 15
 OUTSIDERS, BLOCK, LEADERS = 1024, 2048, 8
 #: Elements that are drawn from at a time, so that the numbers stay in a core's cache.
 DRAWN = 1 << 15
+#: Share of all rows above which a class is settled on the map side; at most 1/SUPPORT classes are broadcast.
+SUPPORT = 0.0005
 
 _SPREAD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SEEDS = mix64(np.arange(1, SAMPLES + 1, dtype=np.uint64) * np.uint64(0x632BE59BD9B4E019))
@@ -382,10 +384,14 @@ def classes(docs: DataFrame) -> DataFrame:
         if not again:
             label = components(links, "classes-last")
             break
-    placed = signed.select("row", "doc_id", "node").join(label, "node", "left").withColumn("class", F.coalesce("class", "node"))
+    placed = materialise(signed.select("row", "doc_id", "node").join(label, "node", "left").withColumn("class", F.coalesce("class", "node")), "placed")
     first = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "row")
-    heads = placed.groupBy("class").agg(F.min(first).alias("head"), F.count(F.lit(1)).alias("class_size"))
-    return placed.join(heads, "class").select("row", "doc_id", "node", F.col("head.doc_id").alias("class_id"), "class_size", (F.col("row") == F.col("head.row")).alias("kept"))
+    heads = materialise(placed.groupBy("class").agg(F.min(first).alias("head"), F.count(F.lit(1)).alias("class_size")), "heads")
+    # a class that a large share of the rows is in is no key of a shuffle: its head is broadcast
+    large = F.col("class_size") > F.lit(SUPPORT) * F.lit(placed.count())
+    rest = placed.join(F.broadcast(heads.where(large).select("class")), "class", "left_anti").join(heads.where(~large).hint("merge"), "class")
+    found = placed.join(F.broadcast(heads.where(large)), "class").unionByName(rest)
+    return found.select("row", "doc_id", "node", F.col("head.doc_id").alias("class_id"), "class_size", (F.col("row") == F.col("head.row")).alias("kept"))
 
 
 def _named(docs: DataFrame) -> DataFrame:
