@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -328,26 +329,37 @@ def _grid_lm(spark, d, k):
     return batch.grid_landmarks(k, N.grid_width(spark, d), N.table(spark, d, "customer").count())
 
 
-_LM = oracle.base(["c_time", "c_energy"], "w AS (SELECT w, n, -(-n // w) AS h FROM w0), ix AS (SELECT unnest([0, 1]) AS i), lms AS (SELECT least(n - 1, least(h - 1, (2 * a.i + 1) * h // 4) * w + least(w - 1, (2 * b.i + 1) * w // 4)) AS lm FROM w, ix a, ix b), tasks AS (SELECT lm AS task_id, lm AS src, lm AS dst FROM lms)")
-_LM = _LM.replace("-(-n // w)", "(n + w - 1) // w")
+def _lm(k: int = 4) -> str:
+    m = math.isqrt(k)
+    at = lambda i, n: f"least({n} - 1, (2 * {i}.i + 1) * {n} // {2 * m})"
+    chosen = f"ix AS (SELECT unnest({list(range(m))}) AS i), lms AS (SELECT DISTINCT least(n - 1, {at('a', 'h')} * w + {at('b', 'w')}) AS lm FROM w, ix a, ix b)"
+    return oracle.base(["c_time", "c_energy"], f"w AS (SELECT w, n, (n + w - 1) // w AS h FROM w0), {chosen}, tasks AS (SELECT lm AS task_id, lm AS src, lm AS dst FROM lms)")
+
+
 _REAL = oracle.TASKS.replace("tasks AS", "real AS")
 
 
-def _lm_sql() -> str:
+def _lm_sql(k: int) -> str:
     to = [oracle.single_bounds(i, 2) for i in range(2)]
     away = [oracle.single_bounds(i, 2, False).replace(f"lb{i}", f"fw{i}") for i in range(2)]
     lm = "lmc AS MATERIALIZED (SELECT lb0.task_id AS lm, lb0.node, lb0.key // 100000000 AS t0, lb1.key // 100000000 AS t1, fw0.key // 100000000 AS f0, fw1.key // 100000000 AS f1 FROM lb0 JOIN lb1 USING (task_id, node) JOIN fw0 USING (task_id, node) JOIN fw1 USING (task_id, node))"
     per = ", ".join(f"greatest(0, max(a.t{i} - b.t{i}), max(b.f{i} - a.f{i})) AS b{i}" for i in range(2))
-    return f"{_LM}, {_REAL}, {', '.join(to + away)}, {lm} SELECT CAST(r.task_id AS BIGINT) AS task_id, a.node, {per} FROM real r JOIN lmc b ON b.node = r.dst JOIN lmc a ON a.lm = b.lm GROUP BY r.task_id, a.node"
+    return f"{_lm(k)}, {_REAL}, {', '.join(to + away)}, {lm} SELECT CAST(r.task_id AS BIGINT) AS task_id, a.node, {per} FROM real r JOIN lmc b ON b.node = r.dst JOIN lmc a ON a.lm = b.lm GROUP BY r.task_id, a.node"
 
 
-@query(_lm_sql())
-def landmark_bounds_k4(spark, d):
-    e = grid(spark, d, "te")
-    return lb_columns(batch.bound_rows(e, three(spark, d), "landmark", batch.build_landmarks(e, _grid_lm(spark, d, 4))), 2)
+def _landmark_query(k: int) -> None:
+    def f(spark, d):
+        e = grid(spark, d, "te")
+        return lb_columns(batch.bound_rows(e, three(spark, d), "landmark", batch.build_landmarks(e, _grid_lm(spark, d, k))), 2)
+
+    query(_lm_sql(k), f"landmark_bounds_k{k}")(f)
+
+
+for _k in (1, 4, 16, 49):
+    _landmark_query(_k)
 
 
-@query(f"{_LM} SELECT DISTINCT CAST(lm AS BIGINT) AS node FROM lms")
+@query(f"{_lm()} SELECT DISTINCT CAST(lm AS BIGINT) AS node FROM lms")
 def landmark_pick(spark, d):
     return spark.createDataFrame([(x,) for x in _grid_lm(spark, d, 4)], "node long")
 
