@@ -308,12 +308,20 @@ def bounds_twosided_supersteps(spark, d):
     return _at_source(sweep.twosided_bounds(grid(spark, d, "te"), t, 2).lb, t)
 
 
-@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations")
+def _counted(bad: DataFrame, front: DataFrame) -> DataFrame:
+    """Violations, beside the number of distinct vectors of the front that was looked at."""
+    one, none = F.lit(1).cast("long"), F.lit(0).cast("long")
+    vectors = front.select("task_id", "cost").distinct()
+    rows = bad.select(one.alias("v"), none.alias("n")).unionByName(vectors.select(none.alias("v"), one.alias("n")))
+    return rows.agg(F.coalesce(F.sum("v"), none).alias("violations"), F.coalesce(F.sum("n"), none).alias("vectors"))
+
+
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations, count(*) AS vectors FROM front")
 def bounds_onepass_on_solution(spark, d):
     """On nodes of front paths a bound never exceeds the cheapest rest of any front path through them: violations counted."""
     t = three(spark, d)
     e = grid(spark, d, "te")
-    f = batch.path_front(N.grid_road(spark, d), t, C.columns("te"))
+    f = batch.keep(batch.path_front(N.grid_road(spark, d), t, C.columns("te")), "front")
     lb = batch.bound_rows(e, t, "onepass")
     at = f.select("task_id", "cost", F.posexplode("path").alias("i", "node"), "path")
     steps = F.transform(F.sequence(F.lit(0), F.size("path") - 2), lambda i: F.struct(i.alias("i"), F.get("path", i).alias("src"), F.get("path", i + 1).alias("dst")))
@@ -322,7 +330,7 @@ def bounds_onepass_on_solution(spark, d):
     rest = part.withColumns({"r0": F.sum("c0").over(w), "r1": F.sum("c1").over(w)}).groupBy("task_id", F.col("src").alias("node")).agg(F.min("r0").alias("r0"), F.min("r1").alias("r1"))
     del at
     bad = rest.join(lb, ["task_id", "node"], "left").where(F.col("lb").isNull() | (F.col("lb")[0] > F.col("r0")) | (F.col("lb")[1] > F.col("r1")))
-    return bad.agg(F.count(F.lit(1)).alias("violations"))
+    return _counted(bad, f)
 
 
 def _grid_lm(spark, d, k):
@@ -476,26 +484,27 @@ def reach_recursive(spark, d):
     return spark.sql("WITH RECURSIVE r(node, hop) AS (SELECT 0L, 0 UNION ALL SELECT e.dst, r.hop + 1 FROM r JOIN rf_reach e ON e.src = r.node WHERE r.hop < 6) SELECT DISTINCT node FROM r")
 
 
-@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations")
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations, count(*) AS vectors FROM front")
 def containment_violations(spark, d):
     """Edges of front paths whose head the sweep did not visit."""
     t = three(spark, d)
-    g = batch.solution_graph(batch.path_front(N.grid_road(spark, d), t, C.columns("te")))
+    f = batch.keep(batch.path_front(N.grid_road(spark, d), t, C.columns("te")), "front")
+    g = batch.solution_graph(f)
     seen = batch.bound_rows(grid(spark, d, "te"), t, "onepass").select("task_id", F.col("node").alias("dst"))
-    return g.join(seen, ["task_id", "dst"], "left_anti").agg(F.count(F.lit(1)).alias("violations"))
+    return _counted(g.join(seen, ["task_id", "dst"], "left_anti"), f)
 
 
-@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations")
+@query(f"{oracle.front(C.columns('te'))} SELECT CAST(0 AS BIGINT) AS violations, count(*) AS vectors FROM front WHERE task_id = 1")
 def subpath_violations(spark, d):
     """Prefixes of front paths that are not in the front of the node they reach."""
     t = three(spark, d).where("task_id = 1")
-    f = batch.path_front(N.grid_road(spark, d), t, C.columns("te"))
+    f = batch.keep(batch.path_front(N.grid_road(spark, d), t, C.columns("te")), "front")
     heads = f.select(F.col("path")[0].alias("src"), F.explode("path").alias("dst")).distinct().where("src <> dst")
     sub = heads.select((F.row_number().over(Window.orderBy("dst"))).cast("long").alias("task_id"), "src", "dst")
     sub = batch.keep(sub, "sub")
     part = batch.path_front(N.grid_road(spark, d), sub, C.columns("te")).join(sub, "task_id").select("dst", "path").distinct()
     prefixes = f.select(F.explode(F.transform(F.sequence(F.lit(2), F.size("path")), lambda n: F.slice("path", 1, n))).alias("path")).select(F.element_at("path", -1).alias("dst"), "path").distinct()
-    return prefixes.join(part, ["dst", "path"], "left_anti").agg(F.count(F.lit(1)).alias("violations"))
+    return _counted(prefixes.join(part, ["dst", "path"], "left_anti"), f)
 
 
 @query()
