@@ -93,10 +93,13 @@ def state_full_outer(spark, d):
 
 @query("SELECT p.p_partkey, count(*) AS pairs FROM part p JOIN part q ON p.p_brand = q.p_brand AND q.p_retailprice BETWEEN p.p_retailprice AND p.p_retailprice + 5 AND p.p_partkey <> q.p_partkey GROUP BY p.p_partkey")
 def range_band_join(spark, d):
-    p = t(spark, d, "part").select("p_partkey", "p_brand", "p_retailprice")
-    q = p.select(F.col("p_partkey").alias("k"), F.col("p_brand").alias("b"), F.col("p_retailprice").alias("price"))
-    on = (F.col("p_brand") == F.col("b")) & F.col("price").between(F.col("p_retailprice"), F.col("p_retailprice") + 5) & (F.col("p_partkey") != F.col("k"))
-    return p.join(q, on).groupBy("p_partkey").agg(F.count(F.lit(1)).alias("pairs"))
+    """Pairs are counted by two ranks in a sort by price, so a brand costs its rows and not the square of them."""
+    p = t(spark, d, "part").select("p_partkey", "p_brand", "p_retailprice").where(F.col("p_partkey").isNotNull() & F.col("p_brand").isNotNull() & F.col("p_retailprice").isNotNull())
+    upto = Window.partitionBy("p_brand").orderBy("p_retailprice").rangeBetween(Window.unboundedPreceding, 5)
+    below = Window.partitionBy("p_brand").orderBy("p_retailprice")
+    own = Window.partitionBy("p_brand", "p_partkey").orderBy("p_retailprice").rangeBetween(0, 5)  # rows of the same key, which are no pairs
+    n = p.withColumn("pairs", F.count(F.lit(1)).over(upto) - F.rank().over(below) + 1).withColumn("pairs", F.col("pairs") - F.count(F.lit(1)).over(own))
+    return n.groupBy("p_partkey").agg(F.sum("pairs").alias("pairs")).where("pairs > 0")
 
 
 @query("SELECT e.event_id, coalesce((SELECT max_by(struct_pack(v := round(u.value * 100)::BIGINT), struct_pack(a := u.ts, b := u.event_id)).v FROM events u WHERE u.user_id = e.user_id AND u.event_type = 'purchase' AND (u.ts < e.ts OR (u.ts = e.ts AND u.event_id < e.event_id))), -1) AS last_value FROM events e")
