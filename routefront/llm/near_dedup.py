@@ -9,8 +9,9 @@ A bucket is not turned into pairs. Its most central node (the one with the large
 members are verified against the leader on their whole texts: exact weighted Jaccard similarity of at least `SIMILAR`.
 Links join nodes to classes. A bucket is done once all its nodes are in one class. Elsewhere the outsiders, the nodes
 beside a bucket's largest class, are compared with all members, block by block, on whole vectors; only pairs whose
-samples agree often enough and whose classes are still apart are computed, so a task returns links and no pairs. A bucket
-with very many outsiders first takes further leaders, from its smallest classes. Nothing is capped.
+samples agree often enough and whose classes are still apart are computed, so a task returns links and no pairs. The
+outsiders of a bucket that has very many are dealt into parts, which are compared beside each other: there is one such
+round, however large a bucket is. Nothing is capped.
 
 Every shingle's weight is its count times idf = (log(1 + 1/share) / log(1 + 1/FLOOR)) ** DAMP, where share is the part of all
 documents that have it, `FLOOR` at least: up to that, or in one document only, a shingle is rare and weighs 1. The power keeps a large group of near
@@ -41,9 +42,8 @@ SAMPLES = BANDS * ROWS
 FLOOR, DAMP, REPORT, GROUP, HELD = 0.01, 0.25, 0.005, 4096, 2_000_000
 #: Agreeing samples below which a pair is not verified: at similarity 0.8 a pair has fewer once in 19,000 (binomial of 30 draws).
 LEAST_AGREE = 15
-#: Nodes of a bucket outside its largest class up to which they are compared with all its members, members of a block
-#: of that comparison, and leaders that a bucket with more outsiders takes at a time.
-OUTSIDERS, BLOCK, LEADERS = 1024, 2048, 8
+#: Nodes of a bucket outside its largest class that are compared with its members in one task, and members of a block of that comparison.
+OUTSIDERS, BLOCK = 1024, 2048
 #: Elements that are drawn from at a time, so that the numbers stay in a core's cache.
 DRAWN = 1 << 15
 #: Share of all rows above which a class is settled on the map side; at most 1/SUPPORT classes are broadcast.
@@ -296,7 +296,7 @@ def similarity(ka: np.ndarray, wa: np.ndarray, kb: np.ndarray, wb: np.ndarray) -
 
 
 def _settled(rows: DataFrame) -> DataFrame:
-    """Links inside (bucket, block): each outsider against every member of another class, until it is in that class."""
+    """Links inside (bucket, part, block): each outsider against every member of another class, until it is in that class."""
 
     def run(group: pa.Table) -> pa.Table:
         group = group.sort_by("node").combine_chunks()
@@ -326,7 +326,24 @@ def _settled(rows: DataFrame) -> DataFrame:
                     links.append((node[i], node[j]))
         return pa.table({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())})
 
-    return rows.groupBy("bucket", "block").applyInArrow(run, "a long, b long")
+    return rows.groupBy("bucket", "part", "block").applyInArrow(run, "a long, b long")
+
+
+def _dealt(state: DataFrame) -> DataFrame:
+    """(bucket, part, block, node, class, outside): every outsider meets every member of its bucket once.
+
+    The outsiders are dealt into parts and all nodes into blocks. A part's outsiders go to all blocks; the other nodes go
+    to their own block, those beside them of the main class for every part, other outsiders for the parts before theirs.
+    """
+    parts, blocks = (F.ceil(F.col(c) / k).cast("int") for c, k in (("outsiders", OUTSIDERS), ("size", BLOCK)))
+    state = state.withColumns({"parts": parts, "blocks": blocks, "outsider": F.col("class") != F.col("main")})
+    state = state.withColumns({"part": F.pmod(F.xxhash64("node", F.lit(1)), "parts").cast("int"), "block": F.pmod(F.xxhash64("node"), "blocks").cast("int")})
+    one = lambda part, block, outside: F.struct(part.alias("part"), block.alias("block"), F.lit(outside).alias("outside"))
+    own = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda b: one(F.col("part"), b, True))
+    upto = F.when(F.col("outsider"), F.col("part")).otherwise(F.col("parts"))  # parts that meet the node as a member
+    member = F.transform(F.filter(F.sequence(F.lit(0), F.col("parts") - 1), lambda p: p < upto), lambda p: one(p, F.col("block"), False))
+    places = F.when(F.col("outsider"), F.concat(own, member)).otherwise(member)
+    return state.select("bucket", "node", "class", F.explode(places).alias("to")).select("bucket", "node", "class", "to.*")
 
 
 def classes(docs: DataFrame) -> DataFrame:
@@ -349,41 +366,16 @@ def classes(docs: DataFrame) -> DataFrame:
 
     texts = materialise(_named(docs).join(needed.hint("merge"), "node", "left_semi").dropDuplicates(["node"]), "texts")
     links = materialise(_verified(done, texts, weights).where(F.col("similarity") >= SIMILAR), "links-0")
-    open_ = rows.select("bucket", "node")
-    k = 0
-    while True:
-        k += 1
-        label = components(links, f"classes-{k}")
-        placed = open_.join(label, "node", "left").withColumn("class", F.coalesce("class", "node"))
-        per = placed.groupBy("bucket", "class").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("a"))
-        mixed = per.groupBy("bucket").agg(F.sum("n").alias("size"), F.max(F.struct("n", "class")).alias("main")).where(F.col("size") > F.col("main.n"))
-        mixed = materialise(mixed.select("bucket", "size", F.col("main.class").alias("main"), (F.col("size") - F.col("main.n")).alias("outsiders")), f"mixed-{k}")
-        if not mixed.limit(1).count():
-            break
-        state = placed.join(mixed, "bucket")
-        ready = state.where(F.col("outsiders") <= OUTSIDERS).withColumn("outside", F.col("class") != F.col("main"))
-        blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-        spread = F.when(F.col("outside"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(F.pmod(F.xxhash64("node"), blocks).cast("int")))
-        ready = ready.select("bucket", "node", "class", "outside", F.explode(spread).alias("block"))
-        few = ready.select("node").distinct()
-        vectors = _vectors(texts.join(few.hint("merge"), "node", "left_semi"), weights).join(nodes.select("node", "prints"), "node")
-        fresh = _settled(ready.join(vectors, "node"))
-        crowded = mixed.where(F.col("outsiders") > OUTSIDERS)
-        again = crowded.limit(1).count() > 0
-        if again:  # leaders of the smallest classes meet the whole bucket first, and then leave it
-            rank = Window.partitionBy("bucket").orderBy("n", "class")
-            chosen = per.join(crowded, "bucket").withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= LEADERS).select("bucket", F.col("class").alias("own"), "a")
-            chosen = materialise(chosen, f"leaders-{k}")
-            wide = placed.join(chosen, "bucket").where(F.col("class") != F.col("own")).select("a", F.col("node").alias("b"))
-            new = materialise(_likely(_ordered(wide).distinct(), nodes).join(done, ["a", "b"], "left_anti"), f"pairs-{k}")
-            done = done.unionByName(new)
-            fresh = fresh.unionByName(_verified(new, texts, weights).where(F.col("similarity") >= SIMILAR).select("a", "b"))
-            open_ = placed.join(crowded, "bucket", "left_semi").select("bucket", "node").join(chosen.select("bucket", F.col("a").alias("node")), ["bucket", "node"], "left_anti")
-            open_ = materialise(open_, f"open-{k}")
-        links = materialise(links.select("a", "b").unionByName(fresh), f"links-{k}")
-        if not again:
-            label = components(links, "classes-last")
-            break
+    label = components(links, "classes-1")
+    placed = rows.select("bucket", "node").join(label, "node", "left").withColumn("class", F.coalesce("class", "node"))
+    per = placed.groupBy("bucket", "class").agg(F.count(F.lit(1)).alias("n"))
+    mixed = per.groupBy("bucket").agg(F.sum("n").alias("size"), F.max(F.struct("n", "class")).alias("main")).where(F.col("size") > F.col("main.n"))
+    mixed = materialise(mixed.select("bucket", "size", F.col("main.class").alias("main"), (F.col("size") - F.col("main.n")).alias("outsiders")), "mixed")
+    if mixed.limit(1).count():
+        dealt = _dealt(placed.join(mixed, "bucket"))
+        vectors = _vectors(texts.join(dealt.select("node").distinct().hint("merge"), "node", "left_semi"), weights).join(nodes.select("node", "prints"), "node")
+        links = materialise(links.select("a", "b").unionByName(_settled(dealt.join(vectors, "node"))), "links-1")
+        label = components(links, "classes-last")
     placed = materialise(signed.select("row", "doc_id", "node").join(label, "node", "left").withColumn("class", F.coalesce("class", "node")), "placed")
     first = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "row")
     heads = materialise(placed.groupBy("class").agg(F.min(first).alias("head"), F.count(F.lit(1)).alias("class_size")), "heads")
