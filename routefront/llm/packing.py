@@ -20,7 +20,9 @@ gives an empty result; only doc_id and text are read, extra columns are ignored.
 
 from __future__ import annotations
 
+import json
 import os
+import re
 import zlib
 from collections import defaultdict
 from collections.abc import Callable
@@ -214,10 +216,50 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> Plan:
 
 #: Units in a string that is encoded at once.
 JOINED = 64
-
-
-def by_tokenizers(path: str) -> tuple[Callable[[list[str]], list[bytes]], Callable[[list[str]], list[bytes]]]:
-    """Ids by `tokenizers`: of any texts, and of units (a space, then no blanks but single line feeds) many at a time, parted by line feeds, which are ids of their own there."""
+#: The byte-level pre-tokenizer whose pre-tokens `PLAIN` finds, as the vocabulary's file describes it.
+BYTE_LEVEL = {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": True}
+#: Latin letters; marks, but for the apostrophe.
+LETTERS, MARKS = "A-Za-z\xc0-\xd6\xd8-\xf6\xf8-\u024f", "!-&(-/:-@\\[-`{-~\xa1-\xa9\xab\xac\xae-\xb1\xb4\xb6-\xb8\xbb\xbf\xd7\xf7"
+#: Pre-tokens of these and of ASCII digits where no two blanks touch; any other character alone.
+PLAIN = re.compile(rf"'(?:[stmd]|re|ve|ll)| ?[{LETTERS}]+| ?[0-9]+| ?[{MARKS}']+|\n|[\0-\U0010ffff]")
+PLAIN_ALONE = re.compile(rf"[{LETTERS}0-9{MARKS}'\n]")
+
+
+def byte_characters() -> dict[int, str]:
+    """The character that stands for each byte in a byte-level vocabulary: itself where it is printed, else one of those from U+0100 on."""
+    printed = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    others = (b for b in range(256) if b not in printed)
+    return {b: chr(b) for b in printed} | {b: chr(256 + n) for n, b in enumerate(others)}
+
+
+class PreTokens(bpe.Encoder):
+    """Texts of plain characters fall apart into pre-tokens, which are remembered with their ids; other texts go to `others`."""
+
+    lead = ""
+
+    def __init__(self, words: Callable[[list[str]], list[bytes]], others: bpe.Encoder, most: int = bpe.REMEMBERED):
+        super().__init__(words, most=most)
+        self.others = others
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        cut: list[list[str] | None] = []
+        distinct: set[str] = set()
+        for text in texts:
+            plain = text[-1:] not in (" ", "\n") and not any(c in text for c in bpe.RARE_BLANKS) and not any(c in text for c in bpe.DOUBLE)
+            cut.append(PLAIN.findall(text) if plain else None)
+            distinct.update(cut[-1] or ())
+        if odd := {p for p in distinct if len(p) == 1 and not PLAIN_ALONE.match(p)}:
+            cut = [None if c is None or not odd.isdisjoint(c) else c for c in cut]
+            distinct -= odd
+        self._learn(distinct)
+        get = self.known.__getitem__
+        rest = iter(self.others.encode_all([t for t, c in zip(texts, cut, strict=True) if c is None]))
+        return [next(rest) if c is None else b"".join(map(get, c)) for c in cut]
+
+
+def by_tokenizers(path: str) -> tuple[Callable[[list[str]], list[bytes]], Callable[[list[str]], list[bytes]], Callable[[list[str]], list[bytes]] | None]:
+    """Ids by `tokenizers`: of any texts; of units (a space, then no blanks but single line feeds) many at a time, parted by line feeds, which
+    are ids of their own there; and of pre-tokens that `PLAIN` finds, by the library's model alone (None: the vocabulary splits texts otherwise)."""
     os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
     from tokenizers import Tokenizer
 
@@ -225,6 +267,10 @@ def by_tokenizers(path: str) -> tuple[Callable[[list[str]], list[bytes]], Callab
     tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
     encode = tokenizer.encode_batch_fast
     line = encode(["\n"], add_special_tokens=False)[0].ids[0]
+    with open(path, encoding="utf-8") as f:
+        told = json.load(f)
+    characters, tokenize = byte_characters(), tokenizer.model.tokenize
+    raw = [i.to_bytes(4, "little") for i in range(max(tokenizer.get_vocab().values()) + 1)]
 
     def texts(parts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in encode(parts, add_special_tokens=False)]
@@ -241,7 +287,12 @@ def by_tokenizers(path: str) -> tuple[Callable[[list[str]], list[bytes]], Callab
             out += [raw[b:e] for b, e in zip([0, *(e + 4 for e in ends[:-1])], ends, strict=True)]
         return out
 
-    return texts, units
+    def words(parts: list[str]) -> list[bytes]:
+        mapped = "\0".join(parts).encode().decode("latin-1").translate(characters).split(characters[0])
+        return [b"".join([raw[t.id] for t in tokenize(w)]) for w in mapped] if parts else []
+
+    known = told["pre_tokenizer"] == BYTE_LEVEL and told["normalizer"] is None and all(a["special"] for a in told["added_tokens"])
+    return texts, units, words if known else None
 
 
 _packers: dict[str, bpe.Encoder] = {}
@@ -249,7 +300,9 @@ _packers: dict[str, bpe.Encoder] = {}
 
 def _packer(path: str) -> bpe.Encoder:
     if path not in _packers:
-        _packers[path] = bpe.Encoder(*by_tokenizers(path))
+        texts, units, words = by_tokenizers(path)
+        plain = bpe.Encoder(texts, units)
+        _packers[path] = plain if words is None else PreTokens(words, plain)
     return _packers[path]
 
 
